@@ -1,8 +1,8 @@
 """Queries of this subpackage and their SQL."""
 
-from segdedup.llm import mixing, packing, pii, quality_model, quality_rules, simhash, token_files, url_filter
+from segdedup.llm import embedding_dedup, mixing, packing, pii, quality_model, quality_rules, simhash, suffix_dedup, token_files, url_filter
 
-MODULES = (mixing, quality_rules, token_files, url_filter, pii, packing, quality_model, simhash)
+MODULES = (suffix_dedup, mixing, quality_rules, token_files, url_filter, pii, packing, quality_model, simhash, embedding_dedup)
 
 
 def queries() -> dict:
