@@ -12,12 +12,13 @@ part of alphabetic order: a merge scan needs equal strings together, not a to z)
 
 The family. Entries are dealt to shards by gram. A shard takes its batches of documents in
 order; a batch's array is merge-scanned against every level: an entry whose context is there
-is a long match and all its windows go; other entries that share a gram with a different
-context are undecided. What is new becomes a level, and two levels of equal rank merge into
+is a long match and all its windows go. Windows are also binned by their distance from the
+anchor: those of a bin all hold the same core of 80 bytes, and where two different contexts
+agree in a core (16 bits of its hash suffice to say no) the bin's windows are undecided.
+What is new becomes a level, and two levels of equal rank merge into
 one of the next rank, so an entry is rewritten once per rank.
 
-Undecided anchors (the ends of a repeated passage, common phrases) are judged window by window:
-their windows' 128-bit fingerprints are grouped, and all but the earliest go.
+Undecided bins (the ends of repeated passages) are judged window by window: their windows' 128-bit fingerprints are grouped, and all but the earliest go.
 
 Skew. A group of equal entries within a buffer of text is one entry before any shuffle. A gram
 with more than HOT contexts in a buffer sends its windows straight to the window grouping and
@@ -42,6 +43,8 @@ from segdedup import scratch
 LENGTH, GRAM = 100, 24
 SPREAD = LENGTH - GRAM + 1
 BATCHES, HOT = 8, 64
+#: Bins of the distance between a window's start and its anchor.
+BINS, BIN = 4, 20
 #: Bytes hashed at a time, and bytes of text whose entries are sorted together.
 BLOCK, BUFFER = 1 << 18, 32 << 20
 FIRST = -(2**63)
@@ -63,8 +66,8 @@ def _wider(h: np.ndarray, by: int) -> np.ndarray:
     return _mix(h[:-by], h[by:]) if len(h) > by else h[:0]
 
 
-def grams_and_windows(data: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Hashes of all GRAM-byte strings, and two of all LENGTH-byte strings."""
+def grams_and_windows(data: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Hashes of all GRAM-byte strings, two of all LENGTH-byte strings, one of all 64-byte strings."""
     h8 = BYTE[data]
     for by in (1, 2, 4):
         h8 = _wider(h8, by)
@@ -74,7 +77,7 @@ def grams_and_windows(data: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndar
     h64 = _wider(h32, 32)
     high = _wider(h64, LENGTH - 64)
     low = _mix(h64[LENGTH - 64 :] ^ M2, h64[: len(h64) - (LENGTH - 64)]) if len(h64) > LENGTH - 64 else high
-    return gram, high, low
+    return gram, high, low, h64
 
 
 def anchors(gram: np.ndarray, n_windows: int) -> np.ndarray:
@@ -114,11 +117,32 @@ def _joined(parts):
     return np.frombuffer(b"".join(p[2] for p in parts), dtype=np.uint8), np.cumsum(lengths) - lengths, np.array([p[0] for p in parts], dtype=np.int64), np.array([p[1] for p in parts], dtype=np.int64)
 
 
+def packed(a, b, p):
+    """First and last window and anchor as one long."""
+    return (a << 14) | (b - a) << 7 | (p - a)
+
+
+def unpacked(place):
+    a = place >> 14
+    return a, a + ((place >> 7) & 127), a + (place & 127)
+
+
+def _cores(data: np.ndarray, h64: np.ndarray, p: np.ndarray) -> np.ndarray:
+    """Sixteen bits of the hash of each bin's core, in one long; where data ends, of what exists."""
+    out = np.zeros(len(p), dtype=np.uint64)
+    last = len(h64) - 1
+    for j in range(BINS):
+        left = np.clip(p - j * BIN, 0, last)
+        right = np.clip(p - (j + 1) * BIN + 1 + LENGTH - 64, 0, last)
+        out |= (_mix(h64[left], h64[right]) >> np.uint64(48)) << np.uint64(16 * j)
+    return out
+
+
 def entries(docs: list[tuple[int, bytes]]) -> dict[str, np.ndarray]:
-    """gram, context, doc, first and last start of each anchor's run of windows."""
+    """gram, context, core, doc and place of each anchor's run of windows."""
     found = []
     for data, starts, ids, places in blocks(docs):
-        gram, high, low = grams_and_windows(data)
+        gram, high, low, h64 = grams_and_windows(data)
         n = len(high)
         anchor = anchors(gram, n)
         part = np.zeros(n, dtype=np.int64)
@@ -133,9 +157,10 @@ def entries(docs: list[tuple[int, bytes]]) -> dict[str, np.ndarray]:
         a, b = a[ok], b[ok]
         p = anchor[a]
         context = _mix(_mix(high[a], low[b]), _mix(high[b], ((p - a) * 256 + (p - b)).astype(np.uint64)))
-        found.append((gram[p].view(np.int64), context.view(np.int64), ids[part[a]], places[part[a]] + a - starts[part[a]], places[part[a]] + b - starts[part[a]]))
+        shift = places[part[a]] - starts[part[a]]
+        found.append((gram[p].view(np.int64), context.view(np.int64), _cores(data, h64, p).view(np.int64), ids[part[a]], packed(a + shift, b + shift, p + shift)))
     columns = [np.concatenate(c) if found else np.zeros(0, dtype=np.int64) for c in (zip(*found, strict=True) if found else [()] * 5)]
-    return dict(zip(("gram", "context", "doc", "a", "b"), columns, strict=True))
+    return dict(zip(("gram", "context", "core", "doc", "place"), columns, strict=True))
 
 
 def window_keys(docs: list[tuple[int, bytes]], wanted: dict[int, list[tuple[int, int]]]) -> tuple[np.ndarray, ...]:
@@ -144,19 +169,28 @@ def window_keys(docs: list[tuple[int, bytes]], wanted: dict[int, list[tuple[int,
     for doc, data in docs:
         for a, b in wanted[doc]:
             piece = np.frombuffer(data[a : b + LENGTH], dtype=np.uint8)
-            _, high, low = grams_and_windows(piece)
+            _, high, low, _ = grams_and_windows(piece)
             out.append((high.view(np.int64), low.view(np.int64), np.full(len(high), doc), np.arange(a, a + len(high))))
     return tuple(np.concatenate(c) for c in zip(*out, strict=True)) if out else tuple(np.zeros(0, dtype=np.int64) for _ in range(4))
 
 
-ROW = pa.schema([("kind", pa.int32()), ("route", pa.int64()), ("context", pa.int64()), ("doc", pa.int64()), ("a", pa.int64()), ("b", pa.int64())])
-ROW_SCHEMA = "kind int, route long, context long, doc long, a long, b long"
+ROW = pa.schema([("kind", pa.int32()), ("route", pa.int64()), ("context", pa.int64()), ("core", pa.int64()), ("doc", pa.int64()), ("place", pa.int64())])
+ROW_SCHEMA = "kind int, route long, context long, core long, doc long, place long"
 
 
-def _rows(kind: int, route, context, doc, a, b) -> pa.RecordBatch:
+def _rows(kind: int, route, context, core, doc, place) -> pa.RecordBatch:
+    """COVERED and UNDECIDED rows hold a first and last window, packed; WINDOW rows a start."""
     n = len(doc)
     fill = lambda x: pa.array(np.broadcast_to(np.asarray(x, dtype=np.int64), n).copy(), pa.int64())
-    return pa.RecordBatch.from_arrays([pa.array(np.full(n, kind, dtype=np.int32)), fill(route), fill(context), fill(doc), fill(a), fill(b)], schema=ROW)
+    return pa.RecordBatch.from_arrays([pa.array(np.full(n, kind, dtype=np.int32)), fill(route), fill(context), fill(core), fill(doc), fill(place)], schema=ROW)
+
+
+def _again(gram, context, doc, place) -> tuple[np.ndarray, np.ndarray]:
+    """In sorted entries: the first of each run of equal ones, and the others that lie elsewhere."""
+    first = np.ones(len(gram), dtype=bool)
+    first[1:] = (gram[1:] != gram[:-1]) | (context[1:] != context[:-1])
+    lead = np.maximum.accumulate(np.where(first, np.arange(len(gram)), 0))
+    return first, ~first & ((doc != doc[lead]) | (place != place[lead]))
 
 
 def _buffered(batches: Iterator[pa.RecordBatch], least: int = BUFFER) -> Iterator[list[tuple[int, bytes]]]:
@@ -176,47 +210,47 @@ def _buffered(batches: Iterator[pa.RecordBatch], least: int = BUFFER) -> Iterato
 def _entry_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for docs in _buffered(batches):
         e = entries(docs)
-        order = np.lexsort((e["a"], e["doc"], e["context"], e["gram"]))
-        gram, context, doc, a, b = (e[k][order] for k in ("gram", "context", "doc", "a", "b"))
-        first = np.ones(len(gram), dtype=bool)
-        first[1:] = (gram[1:] != gram[:-1]) | (context[1:] != context[:-1])
-        # a repeated row of a document is the same place, not an earlier one
-        again = ~first
-        lead = np.maximum.accumulate(np.where(first, np.arange(len(gram)), 0)) if len(gram) else np.zeros(0, dtype=np.int64)
-        again &= (doc != doc[lead]) | (a != a[lead])
-        if again.any():
-            yield _rows(COVERED, doc[again], 0, doc[again], a[again], b[again] + LENGTH)
-        gram, context, doc, a, b = (x[first] for x in (gram, context, doc, a, b))
-        names, at, n = np.unique(gram, return_index=True, return_counts=True)
+        if not len(e["gram"]):
+            continue
+        order = np.lexsort((e["place"], e["doc"], e["context"], e["gram"]))
+        gram, context, core, doc, place = (e[k][order] for k in ("gram", "context", "core", "doc", "place"))
+        first, again = _again(gram, context, doc, place)
+        yield _rows(COVERED, doc[again], 0, 0, doc[again], place[again])
+        gram, context, core, doc, place = (x[first] for x in (gram, context, core, doc, place))
+        names, n = np.unique(gram, return_counts=True)
         hot = n > HOT
         is_hot = np.repeat(hot, n)
         if hot.any():
             wanted: dict[int, list[tuple[int, int]]] = {}
-            for d, x, y in zip(doc[is_hot].tolist(), a[is_hot].tolist(), b[is_hot].tolist(), strict=True):
+            a, b, _ = unpacked(place[is_hot])
+            for d, x, y in zip(doc[is_hot].tolist(), a.tolist(), b.tolist(), strict=True):
                 wanted.setdefault(d, []).append((x, y))
-            seen: set[int] = set()
-            some = [(d, data) for d, data in docs if d in wanted and not (d in seen or seen.add(d))]
+            some = list({d: (d, data) for d, data in docs if d in wanted}.values())
             for i in range(0, len(some), 256):
                 high, low, where, start = window_keys(some[i : i + 256], wanted)
-                yield _rows(WINDOW, high, low, where, start, 0)
-            yield _rows(ENTRY, names[hot], 0, np.full(hot.sum(), FIRST), -1, -1)
-        keep = ~is_hot
-        yield _rows(ENTRY, gram[keep], context[keep], doc[keep], a[keep], b[keep])
+                yield _rows(WINDOW, high, low, 0, where, start)
+            yield _rows(ENTRY, names[hot], 0, 0, np.full(hot.sum(), FIRST), -1)
+        yield _rows(ENTRY, gram[~is_hot], context[~is_hot], core[~is_hot], doc[~is_hot], place[~is_hot])
 
 
 class Level:
-    """A sorted array of entries: gram, context, doc, a, b, and whether they were given out as undecided."""
+    """A sorted array of entries (gram, context, core, doc, place), and its cores' keys, sorted."""
 
     def __init__(self, columns: list[np.ndarray], rank: int):
         self.columns, self.rank = columns, rank
+        self.keys, self.rows, self.bins = core_keys(columns)
+        self.given = np.zeros(len(self.keys), dtype=bool)
 
     def merged(self, other: Level) -> Level:
         both = [np.concatenate([x, y]) for x, y in zip(self.columns, other.columns, strict=True)]
         order = np.lexsort((both[1], both[0]))
-        return Level([c[order] for c in both], self.rank + 1)
+        new = Level([c[order] for c in both], self.rank + 1)
+        old = np.concatenate([self.keys[self.given], other.keys[other.given]])
+        new.given = np.isin(new.keys, old)
+        return new
 
-    def scan(self, gram: np.ndarray, context: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """Where each gram's run begins and ends here, and whether the context is in the run."""
+    def known(self, gram: np.ndarray, context: np.ndarray) -> np.ndarray:
+        """Merge scan: whether each entry's context is here."""
         own, contexts = self.columns[0], self.columns[1]
         lo, hi = np.searchsorted(own, gram, "left"), np.searchsorted(own, gram, "right")
         known = np.zeros(len(gram), dtype=bool)
@@ -225,7 +259,24 @@ class Level:
         for i in np.flatnonzero(hi - lo > 1).tolist():
             k = lo[i] + np.searchsorted(contexts[lo[i] : hi[i]], context[i])
             known[i] = k < hi[i] and contexts[k] == context[i]
-        return lo, hi, known
+        return known
+
+
+def core_keys(columns: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Sorted keys of (gram, bin, core) with the entry and the bin of each."""
+    gram, _, core, _, place = columns
+    a, b, p = unpacked(place)
+    rows, keys, bins = [], [], []
+    for j in range(BINS):
+        low, high = j * BIN, (j + 1) * BIN - 1
+        has = np.flatnonzero((place >= 0) & (p - a >= low) & (p - b <= high))
+        part = (core[has].view(np.uint64) >> np.uint64(16 * j)) & np.uint64(0xFFFF)
+        keys.append(_mix(gram[has].view(np.uint64), part + np.uint64(j << 16)))
+        rows.append(has)
+        bins.append(np.full(len(has), j))
+    keys, rows, bins = np.concatenate(keys), np.concatenate(rows), np.concatenate(bins)
+    order = np.argsort(keys, kind="stable")
+    return keys[order], rows[order], bins[order]
 
 
 class Family:
@@ -233,53 +284,50 @@ class Family:
 
     def __init__(self):
         self.levels: list[Level] = []
+        self.marks = np.zeros(0, dtype=np.int64)
+
+    def _undecided(self, level: Level, which: np.ndarray) -> pa.RecordBatch:
+        rows, bins = level.rows[which], level.bins[which]
+        a, b, p = unpacked(level.columns[4][rows])
+        first, last = np.maximum(a, p - (bins + 1) * BIN + 1), np.minimum(b, p - bins * BIN)
+        return _rows(UNDECIDED, 0, 0, 0, level.columns[3][rows], packed(first, last, first))
 
-    def add(self, gram: np.ndarray, context: np.ndarray, doc: np.ndarray, a: np.ndarray, b: np.ndarray) -> Iterator[pa.RecordBatch]:
-        """Takes a batch, sorted by gram, context, doc and a; gives what it covers and what is undecided."""
+    def add(self, gram: np.ndarray, context: np.ndarray, core: np.ndarray, doc: np.ndarray, place: np.ndarray) -> Iterator[pa.RecordBatch]:
+        """Takes a batch, sorted by gram, context, doc and place; gives what it covers and what is undecided."""
         if not len(gram):
             return
-        first = np.ones(len(gram), dtype=bool)
-        first[1:] = (gram[1:] != gram[:-1]) | (context[1:] != context[:-1])
-        lead = np.maximum.accumulate(np.where(first, np.arange(len(gram)), 0))
-        again = ~first & ((doc != doc[lead]) | (a != a[lead]))
-        if again.any():
-            yield _rows(COVERED, 0, 0, doc[again], a[again], b[again] + LENGTH)
-        gram, context, doc, a, b = (x[first] for x in (gram, context, doc, a, b))
-        known, shared = np.zeros(len(gram), dtype=bool), np.zeros(len(gram), dtype=bool)
+        first, again = _again(gram, context, doc, place)
+        yield _rows(COVERED, 0, 0, 0, doc[again], place[again])
+        columns = [x[first] for x in (gram, context, core, doc, place)]
+        known = np.zeros(len(columns[0]), dtype=bool)
         for level in self.levels:
-            lo, hi, there = level.scan(gram, context)
-            known |= there
-            met = (hi > lo) & ~there
-            shared |= met
-            if met.any():  # the runs met, each once
-                mark = np.zeros(len(level.columns[0]) + 1, dtype=np.int64)
-                np.add.at(mark, lo[met], 1)
-                np.add.at(mark, hi[met], -1)
-                fresh = (np.cumsum(mark)[:-1] > 0) & ~level.columns[5]
-                level.columns[5] |= fresh
-                real = fresh & (level.columns[3] >= 0)
-                yield _rows(UNDECIDED, 0, 0, level.columns[2][real], level.columns[3][real], level.columns[4][real])
-        lost = known & (a >= 0)
-        if lost.any():
-            yield _rows(COVERED, 0, 0, doc[lost], a[lost], b[lost] + LENGTH)
-        gram, context, doc, a, b, shared = (x[~known] for x in (gram, context, doc, a, b, shared))
-        if not len(gram):
-            return
-        same = np.zeros(len(gram), dtype=bool)
-        same[1:] = gram[1:] == gram[:-1]
-        shared |= same
-        shared[:-1] |= same[1:]
-        open_ = shared & (a >= 0)
-        if open_.any():
-            yield _rows(UNDECIDED, 0, 0, doc[open_], a[open_], b[open_])
-        new = Level([gram, context, doc, a, b, shared], 0)
+            known |= level.known(columns[0], columns[1])
+        lost = known & (columns[4] >= 0)
+        yield _rows(COVERED, 0, 0, 0, columns[3][lost], columns[4][lost])
+        new = Level([x[~known] for x in columns], 0)
+        # grams that some buffer found hot: all of their windows are undecided
+        self.marks = np.union1d(self.marks, new.columns[0][new.columns[4] < 0])
+        met = np.isin(new.columns[0][new.rows], self.marks)
+        same = np.zeros(len(new.keys), dtype=bool)
+        same[1:] = new.keys[1:] == new.keys[:-1]
+        met |= same
+        met[:-1] |= same[1:]
+        for level in self.levels:
+            if len(level.keys):
+                at = np.minimum(np.searchsorted(level.keys, new.keys), len(level.keys) - 1)
+                met |= level.keys[at] == new.keys
+                fresh = (np.isin(level.keys, new.keys) | np.isin(level.columns[0][level.rows], self.marks)) & ~level.given
+                level.given |= fresh
+                yield self._undecided(level, fresh)
+        new.given |= met
+        yield self._undecided(new, met)
         while self.levels and self.levels[-1].rank == new.rank:
             new = self.levels.pop().merged(new)
         self.levels.append(new)
 
 
 def _shard_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows come sorted by batch, gram, context, doc and a."""
+    """Rows come sorted by batch, gram, context, doc and place."""
     family, held, now = Family(), [], None
 
     def close() -> Iterator[pa.RecordBatch]:
@@ -287,7 +335,7 @@ def _shard_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
             yield from family.add(*(np.concatenate(c) for c in zip(*held, strict=True)))
 
     for rows in batches:
-        kind, number, *rest = (rows.column(n).to_numpy(zero_copy_only=False) for n in ("kind", "batch", "route", "context", "doc", "a", "b"))
+        kind, number, *rest = (rows.column(n).to_numpy(zero_copy_only=False) for n in ("kind", "batch", "route", "context", "core", "doc", "place"))
         through = kind != ENTRY
         if through.any():
             yield rows.filter(pa.array(through)).select(ROW.names)
@@ -347,16 +395,18 @@ def removals(docs: DataFrame, batches: int = BATCHES) -> DataFrame:
     number = sum((F.when(F.col("doc") >= int(x), 1).otherwise(0) for x in fences), F.lit(0)).cast("int")
 
     rows = texts.select("doc", "text").mapInArrow(_entry_kernel, ROW_SCHEMA).withColumn("batch", number)
-    judged = rows.repartition(n, "route").sortWithinPartitions("batch", "route", "context", "doc", "a").mapInArrow(_shard_kernel, ROW_SCHEMA)
+    judged = rows.repartition(n, "route").sortWithinPartitions("batch", "route", "context", "doc", "place").mapInArrow(_shard_kernel, ROW_SCHEMA)
     judged = scratch.written(judged, "suffix-shards", ["kind"])
+    first = F.shiftright("place", 14)
+    last = first + F.shiftright("place", 7).bitwiseAND(F.lit(127))
 
-    undecided = judged.where(F.col("kind") == UNDECIDED).groupBy("doc").agg(F.collect_list(F.struct("a", "b")).alias("runs"))
+    undecided = judged.where(F.col("kind") == UNDECIDED).groupBy("doc").agg(F.collect_list(F.struct(first.alias("a"), last.alias("b"))).alias("runs"))
     windows = texts.select("doc", "text").join(undecided, "doc").mapInArrow(_window_kernel, "high long, low long, doc long, a long")
-    hot = judged.where(F.col("kind") == WINDOW).select(F.col("route").alias("high"), F.col("context").alias("low"), "doc", "a")
+    hot = judged.where(F.col("kind") == WINDOW).select(F.col("route").alias("high"), F.col("context").alias("low"), "doc", F.col("place").alias("a"))
     windows = scratch.written(windows.union(hot), "suffix-windows")
     earliest = windows.groupBy("high", "low").agg(F.min(F.struct("doc", "a")).alias("first"), F.max(F.struct("doc", "a")).alias("last")).where("first <> last").select("high", "low", "first")
     late = windows.join(earliest, ["high", "low"]).where(F.struct("doc", "a") != F.col("first")).select("doc", "a", (F.col("a") + LENGTH).alias("b"))
-    covered = judged.where(F.col("kind") == COVERED).select("doc", "a", "b").union(late)
+    covered = judged.where(F.col("kind") == COVERED).select("doc", first.alias("a"), (last + LENGTH).alias("b")).union(late)
     runs = covered.groupBy("doc").agg(F.collect_list(F.struct("a", "b")).alias("runs"))
     return texts.join(runs, "doc", "left").select("doc_id", "text", "runs").mapInArrow(_removal_kernel, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, removed array<struct<start: long, end: long>>")
 
