@@ -14,15 +14,17 @@ The family. Entries are dealt to shards by gram. A shard takes its batches of do
 order; a batch's array is merge-scanned against every level: an entry whose context is there
 is a long match and all its windows go. Windows are also binned by their distance from the
 anchor: those of a bin all hold the same core of 80 bytes, and where two different contexts
-agree in a core (16 bits of its hash suffice to say no) the bin's windows are undecided.
-What is new becomes a level, and two levels of equal rank merge into
-one of the next rank, so an entry is rewritten once per rank.
+agree in a core (16 bits of its hash suffice to say no) the bin is undecided. What is new
+becomes a level, and two levels of equal rank merge into one of the next rank, so an entry is
+rewritten once per rank.
 
-Undecided bins (the ends of repeated passages) are judged window by window: their windows' 128-bit fingerprints are grouped, and all but the earliest go.
+Undecided bins (the ends of repeated passages) are grouped by core and content: all but the
+earliest of equal ones go, and where a core has different contents their windows' 128-bit
+fingerprints are grouped, and all but the earliest go.
 
 Skew. A group of equal entries within a buffer of text is one entry before any shuffle. A gram
-with more than HOT contexts in a buffer sends its windows straight to the window grouping and
-a mark to its shard, so no shard collects a common line's occurrences.
+with more than HOT contexts in a buffer sends its bins straight to the grouping by core and a
+mark to its shard, so no shard collects a common line's occurrences.
 
 A null text is empty. doc_id names a document: rows that repeat one are the same place and do
 not remove each other; a null doc_id comes before all. An empty table gives an empty result.
@@ -48,7 +50,7 @@ BINS, BIN = 4, 20
 #: Bytes hashed at a time, and bytes of text whose entries are sorted together.
 BLOCK, BUFFER = 1 << 18, 32 << 20
 FIRST = -(2**63)
-ENTRY, COVERED, WINDOW, UNDECIDED = 0, 1, 2, 3
+ENTRY, COVERED, BINNED, UNDECIDED = 0, 1, 2, 3
 #: Fixed odd multipliers (fractional parts of the golden ratio and of square roots).
 M1, M2, M3 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 BYTE = (np.arange(1, 257, dtype=np.uint64) * M2) ^ (np.arange(1, 257, dtype=np.uint64) * M3 >> np.uint64(17))
@@ -163,26 +165,44 @@ def entries(docs: list[tuple[int, bytes]]) -> dict[str, np.ndarray]:
     return dict(zip(("gram", "context", "core", "doc", "place"), columns, strict=True))
 
 
-def window_keys(docs: list[tuple[int, bytes]], wanted: dict[int, list[tuple[int, int]]]) -> tuple[np.ndarray, ...]:
-    """high, low, doc, start of the windows a..b wanted of each document."""
-    out = []
-    for doc, data in docs:
-        for a, b in wanted[doc]:
-            piece = np.frombuffer(data[a : b + LENGTH], dtype=np.uint8)
-            _, high, low, _ = grams_and_windows(piece)
-            out.append((high.view(np.int64), low.view(np.int64), np.full(len(high), doc), np.arange(a, a + len(high))))
-    return tuple(np.concatenate(c) for c in zip(*out, strict=True)) if out else tuple(np.zeros(0, dtype=np.int64) for _ in range(4))
+def binned(docs: list[tuple[int, bytes]], wanted: dict[int, list[tuple[int, int, int]]]) -> dict[str, list]:
+    """core, content, doc, first window and bytes of the bins wanted: (first, last, bin's least distance)."""
+    out: dict[str, list] = {"core": [], "content": [], "doc": [], "a": [], "data": []}
+    for doc, text in docs:
+        for a, b, anchor, j in wanted[doc]:
+            data = text[a : b + LENGTH]
+            core = text[anchor - j * BIN : anchor - (j + 1) * BIN + 1 + LENGTH]
+            out["core"].append(_digest(core, j))
+            out["content"].append(_digest(data, anchor - a))
+            out["doc"].append(doc)
+            out["a"].append(a)
+            out["data"].append(data)
+    return out
+
+
+def _digest(data: bytes, salt: int) -> int:
+    return int.from_bytes(hashlib.blake2b(data, digest_size=8, salt=bytes([salt])).digest(), "little", signed=True)
+
+
+def bins_of(place: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, int]]:
+    """Of each bin j the rows that have windows in it, their first and last, their anchors, j."""
+    a, b, p = unpacked(place)
+    for j in range(BINS):
+        first, last = np.maximum(a, p - (j + 1) * BIN + 1), np.minimum(b, p - j * BIN)
+        has = np.flatnonzero((first <= last) & (place >= 0))
+        if len(has):
+            yield has, first[has], last[has], p[has], j
 
 
-ROW = pa.schema([("kind", pa.int32()), ("route", pa.int64()), ("context", pa.int64()), ("core", pa.int64()), ("doc", pa.int64()), ("place", pa.int64())])
-ROW_SCHEMA = "kind int, route long, context long, core long, doc long, place long"
+ROW = pa.schema([("kind", pa.int32()), ("route", pa.int64()), ("context", pa.int64()), ("core", pa.int64()), ("doc", pa.int64()), ("place", pa.int64()), ("data", pa.binary())])
+ROW_SCHEMA = "kind int, route long, context long, core long, doc long, place long, data binary"
 
 
-def _rows(kind: int, route, context, core, doc, place) -> pa.RecordBatch:
-    """COVERED and UNDECIDED rows hold a first and last window, packed; WINDOW rows a start."""
+def _rows(kind: int, route, context, core, doc, place, data=None) -> pa.RecordBatch:
+    """place: first and last window and anchor, packed; data: the bytes of a bin."""
     n = len(doc)
     fill = lambda x: pa.array(np.broadcast_to(np.asarray(x, dtype=np.int64), n).copy(), pa.int64())
-    return pa.RecordBatch.from_arrays([pa.array(np.full(n, kind, dtype=np.int32)), fill(route), fill(context), fill(core), fill(doc), fill(place)], schema=ROW)
+    return pa.RecordBatch.from_arrays([pa.array(np.full(n, kind, dtype=np.int32)), fill(route), fill(context), fill(core), fill(doc), fill(place), pa.array(data, pa.binary()) if data is not None else pa.nulls(n, pa.binary())], schema=ROW)
 
 
 def _again(gram, context, doc, place) -> tuple[np.ndarray, np.ndarray]:
@@ -221,14 +241,15 @@ def _entry_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
         hot = n > HOT
         is_hot = np.repeat(hot, n)
         if hot.any():
-            wanted: dict[int, list[tuple[int, int]]] = {}
-            a, b, _ = unpacked(place[is_hot])
-            for d, x, y in zip(doc[is_hot].tolist(), a.tolist(), b.tolist(), strict=True):
-                wanted.setdefault(d, []).append((x, y))
+            wanted: dict[int, list[tuple[int, int, int, int]]] = {}
+            hot_docs = doc[is_hot]
+            for has, first_, last, anchor, j in bins_of(place[is_hot]):
+                for d, x, y, z in zip(hot_docs[has].tolist(), first_.tolist(), last.tolist(), anchor.tolist(), strict=True):
+                    wanted.setdefault(d, []).append((x, y, z, j))
             some = list({d: (d, data) for d, data in docs if d in wanted}.values())
             for i in range(0, len(some), 256):
-                high, low, where, start = window_keys(some[i : i + 256], wanted)
-                yield _rows(WINDOW, high, low, 0, where, start)
+                got = binned(some[i : i + 256], wanted)
+                yield _rows(BINNED, got["core"], got["content"], 0, got["doc"], got["a"], got["data"])
             yield _rows(ENTRY, names[hot], 0, 0, np.full(hot.sum(), FIRST), -1)
         yield _rows(ENTRY, gram[~is_hot], context[~is_hot], core[~is_hot], doc[~is_hot], place[~is_hot])
 
@@ -290,7 +311,7 @@ class Family:
         rows, bins = level.rows[which], level.bins[which]
         a, b, p = unpacked(level.columns[4][rows])
         first, last = np.maximum(a, p - (bins + 1) * BIN + 1), np.minimum(b, p - bins * BIN)
-        return _rows(UNDECIDED, 0, 0, 0, level.columns[3][rows], packed(first, last, first))
+        return _rows(UNDECIDED, 0, 0, 0, level.columns[3][rows], packed(first, last, p))
 
     def add(self, gram: np.ndarray, context: np.ndarray, core: np.ndarray, doc: np.ndarray, place: np.ndarray) -> Iterator[pa.RecordBatch]:
         """Takes a batch, sorted by gram, context, doc and place; gives what it covers and what is undecided."""
@@ -348,11 +369,29 @@ def _shard_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
     yield from close()
 
 
+def _bin_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for doc, text, places in zip(batch.column("doc").to_pylist(), batch.column("text"), batch.column("places").to_pylist(), strict=True):
+            wanted: list[tuple[int, int, int, int]] = []
+            for _, first, last, anchor, j in bins_of(np.unique(np.array(places, dtype=np.int64))):
+                wanted += [(x, y, z, j) for x, y, z in zip(first.tolist(), last.tolist(), anchor.tolist(), strict=True)]
+            got = binned([(doc, text.as_py() or b"")], {doc: wanted})
+            yield pa.RecordBatch.from_arrays([*(pa.array(got[n], pa.int64()) for n in ("core", "content", "doc", "a")), pa.array(got["data"], pa.binary())], names=list(got))
+
+
 def _window_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        for doc, text, runs in zip(batch.column("doc").to_pylist(), batch.column("text"), batch.column("runs").to_pylist(), strict=True):
-            high, low, where, start = window_keys([(doc, text.as_py() or b"")], {doc: sorted({(r["a"], r["b"]) for r in runs})})
-            yield pa.RecordBatch.from_arrays([pa.array(high), pa.array(low), pa.array(where, pa.int64()), pa.array(start, pa.int64())], names=["high", "low", "doc", "a"])
+        pieces = [x.as_py() for x in batch.column("data")]
+        lengths = np.array([len(p) for p in pieces], dtype=np.int64)
+        if not len(lengths):
+            continue
+        _, high, low, _ = grams_and_windows(np.frombuffer(b"".join(pieces), dtype=np.uint8))
+        starts = np.cumsum(lengths) - lengths
+        n = lengths - LENGTH + 1
+        inner = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+        at = np.repeat(starts, n) + inner
+        doc, a = (batch.column(c).to_numpy(zero_copy_only=False) for c in ("doc", "a"))
+        yield pa.RecordBatch.from_arrays([pa.array(high[at].view(np.int64)), pa.array(low[at].view(np.int64)), pa.array(np.repeat(doc, n)), pa.array(np.repeat(a, n) + inner)], names=["high", "low", "doc", "a"])
 
 
 def merged_runs(runs: list[tuple[int, int]], n: int) -> list[tuple[int, int]]:
@@ -397,16 +436,26 @@ def removals(docs: DataFrame, batches: int = BATCHES) -> DataFrame:
     rows = texts.select("doc", "text").mapInArrow(_entry_kernel, ROW_SCHEMA).withColumn("batch", number)
     judged = rows.repartition(n, "route").sortWithinPartitions("batch", "route", "context", "doc", "place").mapInArrow(_shard_kernel, ROW_SCHEMA)
     judged = scratch.written(judged, "suffix-shards", ["kind"])
+    scratch.release(spark)
     first = F.shiftright("place", 14)
     last = first + F.shiftright("place", 7).bitwiseAND(F.lit(127))
 
-    undecided = judged.where(F.col("kind") == UNDECIDED).groupBy("doc").agg(F.collect_list(F.struct(first.alias("a"), last.alias("b"))).alias("runs"))
-    windows = texts.select("doc", "text").join(undecided, "doc").mapInArrow(_window_kernel, "high long, low long, doc long, a long")
-    hot = judged.where(F.col("kind") == WINDOW).select(F.col("route").alias("high"), F.col("context").alias("low"), "doc", F.col("place").alias("a"))
-    windows = scratch.written(windows.union(hot), "suffix-windows")
+    undecided = judged.where(F.col("kind") == UNDECIDED).groupBy("doc").agg(F.collect_list("place").alias("places"))
+    bins = texts.select("doc", "text").join(undecided, "doc").mapInArrow(_bin_kernel, "core long, content long, doc long, a long, data binary")
+    hot = judged.where(F.col("kind") == BINNED).select(F.col("route").alias("core"), F.col("context").alias("content"), "doc", F.col("place").alias("a"), "data")
+    bins = scratch.written(bins.union(hot).distinct(), "suffix-bins")
+    scratch.release(spark)
+    contents = bins.groupBy("core", "content").agg(F.min(F.struct("doc", "a", "data")).alias("first"), F.count(F.lit(1)).alias("n"))
+    contents = scratch.written(contents, "suffix-contents")
+    repeated = contents.where("n > 1").select("core", "content", "first.doc", "first.a").withColumnsRenamed({"doc": "first_doc", "a": "first_a"})
+    again = bins.join(repeated, ["core", "content"]).where((F.col("doc") != F.col("first_doc")) | (F.col("a") != F.col("first_a"))).select("doc", "a", (F.col("a") + F.length("data")).alias("b"))
+    shared = contents.groupBy("core").agg(F.count(F.lit(1)).alias("contents")).where("contents > 1").select("core")
+    windows = contents.join(shared, "core", "left_semi").select("first.*").mapInArrow(_window_kernel, "high long, low long, doc long, a long")
+    windows = scratch.written(windows, "suffix-windows")
     earliest = windows.groupBy("high", "low").agg(F.min(F.struct("doc", "a")).alias("first"), F.max(F.struct("doc", "a")).alias("last")).where("first <> last").select("high", "low", "first")
     late = windows.join(earliest, ["high", "low"]).where(F.struct("doc", "a") != F.col("first")).select("doc", "a", (F.col("a") + LENGTH).alias("b"))
-    covered = judged.where(F.col("kind") == COVERED).select("doc", first.alias("a"), (last + LENGTH).alias("b")).union(late)
+    covered = scratch.written(judged.where(F.col("kind") == COVERED).select("doc", first.alias("a"), (last + LENGTH).alias("b")).union(again).union(late), "suffix-covered")
+    scratch.release(spark)
     runs = covered.groupBy("doc").agg(F.collect_list(F.struct("a", "b")).alias("runs"))
     return texts.join(runs, "doc", "left").select("doc_id", "text", "runs").mapInArrow(_removal_kernel, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, removed array<struct<start: long, end: long>>")
 
