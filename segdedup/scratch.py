@@ -36,7 +36,9 @@ def written(df: DataFrame, label: str, partition_by: list[str] | None = None) ->
     if partition_by:
         writer = writer.partitionBy(*partition_by)
     writer.parquet(path)
-    return spark.read.schema(df.schema).parquet(path) if not partition_by else spark.read.parquet(path)
+    found = spark.read.schema(df.schema).parquet(path) if not partition_by else spark.read.parquet(path)
+    found.shared_path = path
+    return found
 
 
 def release(spark: SparkSession) -> None:
@@ -45,6 +47,12 @@ def release(spark: SparkSession) -> None:
     spark.sparkContext._jvm.System.gc()
 
 
+def drop(*tables: DataFrame) -> None:
+    """Deletes tables made by written() that nothing will read again."""
+    for t in tables:
+        remove(t.sparkSession, t.shared_path)
+
+
 def remove(spark: SparkSession, path: str) -> None:
     """Deletes a path through Hadoop's file system, whatever store it is in."""
     jvm = spark.sparkContext._jvm
