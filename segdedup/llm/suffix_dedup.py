@@ -435,7 +435,7 @@ def removals(docs: DataFrame, batches: int = BATCHES) -> DataFrame:
 
     rows = texts.select("doc", "text").mapInArrow(_entry_kernel, ROW_SCHEMA).withColumn("batch", number)
     judged = rows.repartition(n, "route").sortWithinPartitions("batch", "route", "context", "doc", "place").mapInArrow(_shard_kernel, ROW_SCHEMA)
-    judged = scratch.written(judged, "suffix-shards", ["kind"])
+    judged = scratch.written(judged, "suffix-shards")
     scratch.release(spark)
     first = F.shiftright("place", 14)
     last = first + F.shiftright("place", 7).bitwiseAND(F.lit(127))
@@ -455,6 +455,7 @@ def removals(docs: DataFrame, batches: int = BATCHES) -> DataFrame:
     earliest = windows.groupBy("high", "low").agg(F.min(F.struct("doc", "a")).alias("first"), F.max(F.struct("doc", "a")).alias("last")).where("first <> last").select("high", "low", "first")
     late = windows.join(earliest, ["high", "low"]).where(F.struct("doc", "a") != F.col("first")).select("doc", "a", (F.col("a") + LENGTH).alias("b"))
     covered = scratch.written(judged.where(F.col("kind") == COVERED).select("doc", first.alias("a"), (last + LENGTH).alias("b")).union(again).union(late), "suffix-covered")
+    scratch.drop(judged, bins, contents, windows)
     scratch.release(spark)
     runs = covered.groupBy("doc").agg(F.collect_list(F.struct("a", "b")).alias("runs"))
     return texts.join(runs, "doc", "left").select("doc_id", "text", "runs").mapInArrow(_removal_kernel, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, removed array<struct<start: long, end: long>>")
