@@ -149,8 +149,8 @@ def posting_links(marks: np.ndarray, fixed: tuple[int, ...]) -> list[tuple[int,
                         add(i, j, group)
                 elif len(group) > 1:
                     add(*_tally(marks[group]), group)
-    signed = marks.view("<i8")
-    return [(int(signed[a]), int(signed[b])) for a, b in links]
+    signed = marks.view("<i8")  # as stars around the roots, which settle in fewer rounds than chains
+    return [(int(signed[i]), int(signed[r])) for i in sorted({i for link in links for i in link}) if (r := forest.root(i)) != i]
 
 
 def _posting_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
