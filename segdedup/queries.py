@@ -525,7 +525,7 @@ def conversation_dedup(spark, d):
 @query()
 def retry_digest(spark, d):
     """A crash before the swap and a retry leave the state of an undisturbed run."""
-    docs = spark.read.parquet(f"{d}/documents.parquet").select("doc_id", "text").where("doc_id < 400")
+    docs = scratch.table(spark, d, "documents").select("doc_id", "text")
     one, two = _index(spark), _index(spark)
     for r in range(2):
         one.ingest(docs.where(F.pmod("doc_id", F.lit(2)) == r), f"r{r}")
