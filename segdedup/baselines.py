@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from segdedup import components, costmodel, keys, screen
+from segdedup import components, costmodel, keys, scratch, screen, similarity
 
 
 def snapshot_rebuild(docs: DataFrame, band_keys: DataFrame, releases: int) -> DataFrame:
@@ -39,14 +39,22 @@ def bloom_fpr(stream: DataFrame, n0: int, fp: float, steps: list[int], holdout:
 
 
 def served_topk(docs: DataFrame, config, top_k: int = 1, least: float = 0.5) -> DataFrame:
-    """Each document's best earlier candidates by the signatures' agreement: doc_id, match_id, est."""
-    signed = keys.compute(docs.select("doc_id", "text"), config, "signature")
-    band = keys.long_keys(docs.select("doc_id", "text"), config)
+    """Each document's best earlier candidates by the signatures' agreement: doc_id, match_id, est.
+
+    Of documents with equal signatures only the top_k first are compared with others: a later one
+    has those at agreement 1, and no document needs more of a class than its top_k first.
+    """
+    signed = scratch.written(keys.compute(docs.select("doc_id", "text"), config, "signature").where(F.size("signature") > 0), "signatures")
+    chosen = scratch.written(similarity.first_of_class(signed, "signature", top_k), "chosen")
+    band = keys.long_keys(docs.select("doc_id", "text").join(chosen.select("doc_id"), "doc_id", "left_semi"), config)
     pairs = band.alias("x").join(band.alias("y"), ["band", "key"]).where("y.doc_id < x.doc_id").select(F.col("x.doc_id").alias("doc_id"), F.col("y.doc_id").alias("match_id")).distinct()
-    both = pairs.join(signed.withColumnRenamed("signature", "s"), "doc_id").join(signed.select(F.col("doc_id").alias("match_id"), F.col("signature").alias("t")), "match_id")
+    both = pairs.join(chosen.select("doc_id", F.col("signature").alias("s")), "doc_id").join(chosen.select(F.col("doc_id").alias("match_id"), F.col("signature").alias("t")), "match_id")
     scored = both.select("doc_id", "match_id", F.round(keys.similarity("s", "t"), 6).alias("est")).where(F.col("est") >= least)
     best = Window.partitionBy("doc_id").orderBy(F.desc("est"), "match_id")
-    return scored.withColumn("place", F.row_number().over(best)).where(F.col("place") <= top_k).drop("place")
+    found = scored.withColumn("place", F.row_number().over(best)).where(F.col("place") <= top_k).drop("place")
+    later = signed.join(chosen.select("doc_id"), "doc_id", "left_anti").select("doc_id", F.sha2(F.array_join("signature", ","), 256).alias("class_"))
+    copies = later.join(chosen.select("class_", F.col("doc_id").alias("match_id")), "class_")
+    return found.union(copies.select("doc_id", "match_id", F.lit(1.0)))
 
 
 def transitive(band_keys: DataFrame) -> DataFrame:
@@ -58,14 +66,21 @@ def transitive(band_keys: DataFrame) -> DataFrame:
 
 
 def ml_minhash(docs: DataFrame, tables: int = 8, distance: float = 0.3) -> DataFrame:
-    """Spark ML's MinHash join of the documents' word sets: a, b, distance."""
+    """Spark ML's MinHash join of the documents' word sets: a, b, distance.
+
+    Equal word sets are joined once; their further documents stand beside the smallest at distance 0.
+    """
     from pyspark.ml.feature import HashingTF, MinHashLSH
 
     words = docs.select("doc_id", F.split(keys.normalise(F.col("text")), " ").alias("w")).where(F.size("w") > 4)
+    words = scratch.written(words.withColumn("w", F.array_sort(F.array_distinct("w"))), "word-sets")
+    groups = scratch.written(similarity.classes(words, "w"), "classes")
+    words = similarity.representatives(words, groups)
     vectors = HashingTF(inputCol="w", outputCol="v", numFeatures=1 << 18, binary=True).transform(words)
     model = MinHashLSH(inputCol="v", outputCol="h", numHashTables=tables, seed=7).fit(vectors)
     found = model.approxSimilarityJoin(vectors, vectors, distance, "distance").where("datasetA.doc_id < datasetB.doc_id")
-    return found.select(F.col("datasetA.doc_id").alias("a"), F.col("datasetB.doc_id").alias("b"), F.round("distance", 6).alias("distance"))
+    between = found.select(F.col("datasetA.doc_id").alias("a"), F.col("datasetB.doc_id").alias("b"), F.round("distance", 6).alias("distance"))
+    return between.union(similarity.star(groups).select("a", "b", F.lit(0.0)))
 
 
 def resident_table(rows: list[tuple[int, list[int]]], policy: str = "greedy", cap_bytes: int | None = None) -> dict:

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from segdedup import baselines, costmodel, keys, policies, releases, scratch, screen
+from segdedup import baselines, costmodel, keys, policies, releases, scratch, screen, similarity
 from segdedup.config import PORTABLE, PRIME
 from segdedup.index import Index, ingest_all
 
@@ -101,26 +101,37 @@ def _shingles(spark, d) -> DataFrame:
     return split.select("doc_id", F.explode(F.array_distinct(made)).alias("s"))
 
 
-_PAIRS = """,
-df as (select s, count(*) as n from sh group by s), sz as (select doc_id, count(*) as n from sh group by doc_id),
-rare as (select sh.* from sh join df using (s) where df.n between 2 and 200),
-pr as (select x.doc_id as a, y.doc_id as b, count(*)::bigint as inter from rare x join rare y using (s) where x.doc_id < y.doc_id group by all),
-jac as (select a, b, inter, (p.n + q.n - inter)::bigint as uni, round(inter / (p.n + q.n - inter), 6) as j from pr join sz p on p.doc_id = a join sz q on q.doc_id = b)"""
+_SETS = """,
+st0 as (select doc_id, count(*)::bigint as n, string_agg(s, chr(10) order by s) as content from sh group by doc_id),
+cl as (select doc_id, n, min(doc_id) over (partition by content) as rep from st0)"""
 
+_PAIRS = (
+    _SETS
+    + """,
+rs as (select sh.* from sh join cl using (doc_id) where cl.doc_id = cl.rep),
+pr as (select x.doc_id as a, y.doc_id as b, count(*)::bigint as inter from rs x join rs y using (s) where x.doc_id < y.doc_id group by all),
+jac as (select a, b, inter, (p.n + q.n - inter)::bigint as uni, round(inter / (p.n + q.n - inter), 6) as j from pr join cl p on p.doc_id = a join cl q on q.doc_id = b)"""
+)
+
+
+def _sets(spark, d) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """The documents' shingle sets, their classes, and the sets of the representatives."""
+    sets = scratch.written(similarity.shingle_sets(scratch.table(spark, d, "documents"), C.k), "shingle-sets")
+    found = scratch.written(similarity.classes(sets, "ids"), "classes")
+    return sets, found, scratch.written(similarity.representatives(sets, found), "representatives")
 
-def _jaccard(spark, d) -> DataFrame:
-    sh = scratch.written(_shingles(spark, d), "shingles")
-    rare = sh.join(sh.groupBy("s").count().where("count between 2 and 200").select("s"), "s", "left_semi")
-    size = sh.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n"))
-    pairs = rare.alias("x").join(rare.alias("y"), "s").where("x.doc_id < y.doc_id").groupBy(F.col("x.doc_id").alias("a"), F.col("y.doc_id").alias("b")).agg(F.count(F.lit(1)).alias("inter"))
-    uni = F.col("p.n") + F.col("q.n") - F.col("inter")
-    return pairs.join(size.alias("p"), F.col("p.doc_id") == F.col("a")).join(size.alias("q"), F.col("q.doc_id") == F.col("b")).select("a", "b", "inter", uni.alias("uni"), F.round(F.col("inter") / uni, 6).alias("j"))
 
+_J = F.round(F.col("inter") / F.col("uni"), 6).alias("j")
 
-@query(f"with {WORDS}{_PAIRS} select * from jac where j >= 0.5")
+
+@query(f"with {WORDS}{_PAIRS} select 'pair' as kind, * from jac where inter * 2 >= uni union all select 'class', rep, doc_id, n, n, 1.0 from cl where doc_id <> rep")
 def jaccard_pairs(spark, d):
-    """Shingles of over 200 documents count in the sizes but make no pairs."""
-    return _jaccard(spark, d).where("j >= 0.5")
+    """Pairs of Jaccard 0.5 or more between representatives of equal shingle sets, and each
+    further member of a class (kind class) with its representative."""
+    sets, found, chosen = _sets(spark, d)
+    pairs = similarity.pairs_above(chosen, 1, 2).select(F.lit("pair").alias("kind"), "a", "b", "inter", "uni", _J)
+    own = similarity.star(found).join(sets.select(F.col("doc_id").alias("b"), "n"), "b")
+    return pairs.union(own.select(F.lit("class"), "a", "b", "n", "n", F.lit(1.0)))
 
 
 @query(f"with {SIGNED} select doc_id, pos::int as pos, v as value from sig")
@@ -141,24 +152,42 @@ def band_keys_128(spark, d):
 
 
 _CAND = ", cand as (select x.doc_id as a, y.doc_id as b, count(*)::bigint as shared from dk x join dk y using (band, key) where x.doc_id < y.doc_id group by all)"
+_RCAND = ", cand as (select x.doc_id as a, y.doc_id as b, count(*)::bigint as shared from dk x join dk y using (band, key) join cl p on p.doc_id = x.doc_id join cl q on q.doc_id = y.doc_id where x.doc_id < y.doc_id and p.rep = p.doc_id and q.rep = q.doc_id group by all)"
 
 
 def _candidates(k: DataFrame) -> DataFrame:
+    """Pairs that share a band key, of documents given once a class."""
     return k.alias("x").join(k.alias("y"), ["band", "key"]).where("x.doc_id < y.doc_id").groupBy(F.col("x.doc_id").alias("a"), F.col("y.doc_id").alias("b")).agg(F.count(F.lit(1)).alias("shared"))
 
 
-@query(f"with {KEYED}{_CAND} select * from cand")
+def _chosen_keys(spark, d, found: DataFrame) -> DataFrame:
+    """Band keys of the representatives."""
+    docs = scratch.table(spark, d, "documents").select("doc_id", "text")
+    return scratch.written(keys.long_keys(similarity.representatives(docs, found), C), "keys")
+
+
+@query(f"with {KEYED}, kl as (select doc_id, string_agg(key::varchar, ',' order by band) as content from dk group by doc_id), cl as (select doc_id, min(doc_id) over (partition by content) as rep from kl){_RCAND} select 'pair' as kind, * from cand union all select 'class', rep, doc_id, {C.bands} from cl where doc_id <> rep")
 def lsh_candidate_pairs(spark, d):
-    return _candidates(_docs(spark, d)[1])
+    """Pairs that share a band key, between representatives of equal key lists, and each further
+    member of a class (kind class) with its representative."""
+    keyed = scratch.written(keys.compute(scratch.table(spark, d, "documents").select("doc_id", "text"), C).where(F.size("keys") > 0), "key-lists")
+    found = scratch.written(similarity.classes(keyed, "keys"), "classes")
+    long = similarity.representatives(keyed, found).select("doc_id", F.posexplode("keys").alias("band", "key"))
+    pairs = _candidates(scratch.written(long, "keys")).select(F.lit("pair").alias("kind"), "a", "b", "shared")
+    return pairs.union(similarity.star(found).select(F.lit("class"), "a", "b", F.lit(C.bands).cast("long")))
 
 
-@query(f"with {KEYED}{_CAND}{_PAIRS}, est as (select a, b, round(avg((p.v = q.v)::int), 6) as est from cand join sig p on p.doc_id = a join sig q on q.doc_id = b and p.pos = q.pos group by a, b) select a, b, est, j, round(abs(est - j), 6) as abs_err from est join jac using (a, b)")
+@query(f"with {KEYED}{_PAIRS}{_RCAND}, est as (select a, b, round(avg((p.v = q.v)::int), 6) as est from cand join sig p on p.doc_id = a join sig q on q.doc_id = b and p.pos = q.pos group by a, b) select a, b, est, coalesce(j, 0.0) as j, round(abs(est - coalesce(j, 0.0)), 6) as abs_err from est left join jac using (a, b) union all select rep, doc_id, 1.0, 1.0, 0.0 from cl where doc_id <> rep")
 def sig_estimates(spark, d):
-    signed = keys.compute(scratch.table(spark, d, "documents").select("doc_id", "text"), C, "signature")
-    pairs = _candidates(_docs(spark, d)[1]).join(_jaccard(spark, d), ["a", "b"])
+    """Estimated against exact Jaccard of the candidates between representatives of equal
+    shingle sets; a further member of a class is listed with its representative."""
+    _, found, chosen = _sets(spark, d)
+    signed = keys.compute(similarity.representatives(scratch.table(spark, d, "documents").select("doc_id", "text"), found), C, "signature")
+    pairs = similarity.counted(_candidates(_chosen_keys(spark, d, found)).select("a", "b"), chosen)
     both = pairs.join(signed.select(F.col("doc_id").alias("a"), F.col("signature").alias("s")), "a").join(signed.select(F.col("doc_id").alias("b"), F.col("signature").alias("t")), "b")
     est = F.round(keys.similarity("s", "t"), 6)
-    return both.select("a", "b", est.alias("est"), "j", F.round(F.abs(est - F.col("j")), 6).alias("abs_err"))
+    out = both.select("a", "b", est.alias("est"), _J).withColumn("abs_err", F.round(F.abs(F.col("est") - F.col("j")), 6))
+    return out.union(similarity.star(found).select("a", "b", F.lit(1.0), F.lit(1.0), F.lit(0.0)))
 
 
 @query("select b::int as b, r::int as r, round(i * 0.05, 2)::double as j, round(1 - pow(1 - pow(round(i * 0.05, 2), r), b), 6)::double as p from (values (16, 8), (8, 4), (32, 4), (20, 5)) t(b, r), range(0, 21) g(i)")
@@ -437,10 +466,21 @@ def frozen_duplicates(spark, d):
     return spark.createDataFrame(rows, "policy string, total_keys long, distinct_keys long, dup_share double")
 
 
-@query(f"with {KEYED}{_CAND}{_PAIRS} select floor(j * 10)::int as bucket, count(*)::bigint as pairs, count(cand.a)::bigint as found from jac left join cand using (a, b) where j >= 0.1 group by 1")
+_ALL_PAIRS = ", sz as (select doc_id, count(*) as n from sh group by doc_id), pr as (select x.doc_id as a, y.doc_id as b, count(*)::bigint as inter from sh x join sh y using (s) where x.doc_id < y.doc_id group by all), jac as (select a, b, inter, p.n + q.n - inter as uni from pr join sz p on p.doc_id = a join sz q on q.doc_id = b)"
+
+
+@query(f"with {KEYED}{_CAND}{_ALL_PAIRS} select (inter * 10 // uni)::int as bucket, count(*)::bigint as pairs, count(cand.a)::bigint as found from jac left join cand using (a, b) where inter * 10 >= uni group by 1")
 def lsh_recall_vs_jaccard(spark, d):
-    found = _candidates(_docs(spark, d)[1]).withColumn("hit", F.lit(1)).drop("shared")
-    return _jaccard(spark, d).where("j >= 0.1").join(found, ["a", "b"], "left").groupBy(F.floor(F.col("j") * 10).cast("int").alias("bucket")).agg(F.count(F.lit(1)).alias("pairs"), F.count("hit").alias("found"))
+    """Pairs of documents by tenths of Jaccard, and how many of them share a band key. A pair of
+    representatives counts as often as their members pair; pairs within a class are counted from its size."""
+    _, found, chosen = _sets(spark, d)
+    met = _candidates(_chosen_keys(spark, d, found)).select("a", "b", F.lit(1).alias("hit"))
+    size = similarity.members(found)
+    pairs = similarity.pairs_above(chosen, 1, 10).join(met, ["a", "b"], "left")
+    weighed = pairs.join(size.toDF("a", "ma"), "a").join(size.toDF("b", "mb"), "b").withColumn("w", F.col("ma") * F.col("mb"))
+    between = weighed.select(F.expr("cast(inter * 10 div uni as int)").alias("bucket"), "w", F.when(F.col("hit") == 1, F.col("w")).otherwise(0).alias("f"))
+    within = size.where("members > 1").select(F.lit(10).alias("bucket"), F.expr("members * (members - 1) div 2").alias("w"))
+    return between.union(within.select("bucket", "w", "w")).groupBy("bucket").agg(F.sum("w").alias("pairs"), F.sum("f").alias("found"))
 
 
 @query("select system, n::bigint as n, round(n * b / 1073741824.0, 6)::double as gib from (values ('segmented_index', 128.0), ('with_sidecar', 256.0), ('resident_table', 6500.0), ('graph_substrate', 1536.0)) s(system, b), (values (1000000), (10000000), (100000000), (1000000000)) v(n)")
@@ -544,5 +584,6 @@ def retry_digest(spark, d):
 
 @query()
 def ml_minhash_pairs(spark, d):
+    """Pairs between representatives of equal word sets; further members at distance 0."""
     return baselines.ml_minhash(scratch.table(spark, d, "documents").select("doc_id", "text"))
 
