@@ -36,7 +36,7 @@ def written(df: DataFrame, label: str, partition_by: list[str] | None = None) ->
     if partition_by:
         writer = writer.partitionBy(*partition_by)
     writer.parquet(path)
-    found = spark.read.schema(df.schema).parquet(path) if not partition_by else spark.read.parquet(path)
+    found = spark.read.schema(df.schema).parquet(path)
     found.shared_path = path
     return found
 
