@@ -435,7 +435,7 @@ def removals(docs: DataFrame, batches: int = BATCHES) -> DataFrame:
 
     rows = texts.select("doc", "text").mapInArrow(_entry_kernel, ROW_SCHEMA).withColumn("batch", number)
     judged = rows.repartition(n, "route").sortWithinPartitions("batch", "route", "context", "doc", "place").mapInArrow(_shard_kernel, ROW_SCHEMA)
-    judged = scratch.written(judged, "suffix-shards")
+    judged = scratch.written(judged, "suffix-shards", ["kind"])
     scratch.release(spark)
     first = F.shiftright("place", 14)
     last = first + F.shiftright("place", 7).bitwiseAND(F.lit(127))
@@ -444,19 +444,27 @@ def removals(docs: DataFrame, batches: int = BATCHES) -> DataFrame:
     bins = texts.select("doc", "text").join(undecided, "doc").mapInArrow(_bin_kernel, "core long, content long, doc long, a long, data binary")
     hot = judged.where(F.col("kind") == BINNED).select(F.col("route").alias("core"), F.col("context").alias("content"), "doc", F.col("place").alias("a"), "data")
     bins = scratch.written(bins.union(hot).distinct(), "suffix-bins")
+    for kind in (UNDECIDED, BINNED):
+        scratch.remove(spark, f"{judged.shared_path}/kind={kind}")
     scratch.release(spark)
     contents = bins.groupBy("core", "content").agg(F.min(F.struct("doc", "a", "data")).alias("first"), F.count(F.lit(1)).alias("n"))
     contents = scratch.written(contents, "suffix-contents")
     repeated = contents.where("n > 1").select("core", "content", "first.doc", "first.a").withColumnsRenamed({"doc": "first_doc", "a": "first_a"})
     again = bins.join(repeated, ["core", "content"]).where((F.col("doc") != F.col("first_doc")) | (F.col("a") != F.col("first_a"))).select("doc", "a", (F.col("a") + F.length("data")).alias("b"))
+    again = scratch.written(again, "suffix-again")
+    scratch.drop(bins)
+    scratch.release(spark)
     shared = contents.groupBy("core").agg(F.count(F.lit(1)).alias("contents")).where("contents > 1").select("core")
     windows = contents.join(shared, "core", "left_semi").select("first.*").mapInArrow(_window_kernel, "high long, low long, doc long, a long")
     windows = scratch.written(windows, "suffix-windows")
+    scratch.drop(contents)
+    scratch.release(spark)
     earliest = windows.groupBy("high", "low").agg(F.min(F.struct("doc", "a")).alias("first"), F.max(F.struct("doc", "a")).alias("last")).where("first <> last").select("high", "low", "first")
     late = windows.join(earliest, ["high", "low"]).where(F.struct("doc", "a") != F.col("first")).select("doc", "a", (F.col("a") + LENGTH).alias("b"))
-    covered = scratch.written(judged.where(F.col("kind") == COVERED).select("doc", first.alias("a"), (last + LENGTH).alias("b")).union(again).union(late), "suffix-covered")
-    scratch.drop(judged, bins, contents, windows)
+    late = scratch.written(late, "suffix-late")
+    scratch.drop(windows)
     scratch.release(spark)
+    covered = judged.where(F.col("kind") == COVERED).select("doc", first.alias("a"), (last + LENGTH).alias("b")).union(again).union(late)
     runs = covered.groupBy("doc").agg(F.collect_list(F.struct("a", "b")).alias("runs"))
     return texts.join(runs, "doc", "left").select("doc_id", "text", "runs").mapInArrow(_removal_kernel, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, removed array<struct<start: long, end: long>>")
 
