@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from segdedup import scratch
-from segdedup.llm import mixing, packing, pii, quality_rules, simhash
+from segdedup.llm import mixing, near_copies, packing, pii, quality_rules
 
 WEIGHTS, SHARE = [3, 1, 2], 1.5
 
@@ -21,9 +21,9 @@ def good_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 
 def one_of_each(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each near-duplicate group the row of the smallest doc_id; of repeated rows one stays."""
-    found = simhash.near_duplicates(docs).where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select("doc_id").distinct()
-    kept = docs.join(found.withColumnRenamed("doc_id", "kept_id"), docs["doc_id"].eqNullSafe(F.col("kept_id")), "left_semi")
+    """Of each group of near-duplicate texts (5-word Jaccard 0.8 or more, or op9's rule) the row
+    of the smallest doc_id; of repeated rows one stays."""
+    kept = near_copies.one_of_each(docs)
     first = Window.partitionBy("doc_id").orderBy("text")
     return kept.withColumn("copy_", F.row_number().over(first)).where("copy_ = 1").select(*docs.columns)
 
