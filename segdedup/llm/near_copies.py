@@ -87,32 +87,36 @@ def postings(ids: np.ndarray) -> np.ndarray:
     return np.concatenate(keys)
 
 
-def _read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _node(ids: np.ndarray) -> int:
     import xxhash
 
+    return int(np.uint64(xxhash.xxh64_intdigest(ids.tobytes())).view(np.int64)) if len(ids) else 0
+
+
+def _read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        sets, marks, names = [], [], []
-        for text in batch.column(2):
-            text = text.as_py()
-            own = shingles(text)
-            sets.append(own.tobytes())
-            names.append(xxhash.xxh64_intdigest(sets[-1]) if len(own) else 0)
-            marks.append(simhash.fingerprint(text))
-        node = pa.array(np.array(names, dtype=np.uint64).view(np.int64))
-        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(marks, pa.int64()), node, pa.array(sets, pa.binary())], names=["row_key", "doc_id", "mark", "node", "ids"])
+        texts = [t.as_py() for t in batch.column(2)]
+        marks = pa.array([simhash.fingerprint(t) for t in texts], pa.int64())
+        nodes = pa.array([_node(shingles(t)) for t in texts], pa.int64())
+        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), marks, nodes], names=["row_key", "doc_id", "mark", "node"])
 
 
 def _post(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        nodes = batch.column(0).to_numpy()
-        sets = [np.frombuffer(b.as_py(), dtype=np.uint64) for b in batch.column(1)]
-        for at in range(0, len(sets), 500):
-            made = [postings(s) for s in sets[at : at + 500]]
+        for at in range(0, len(batch), 500):
+            sets = [s for t in batch.column(0).slice(at, 500) if len(s := shingles(t.as_py()))]
+            made = [postings(s) for s in sets]
             if made:
-                own = np.repeat(nodes[at : at + 500], list(map(len, made)))
+                own = np.repeat(np.array(list(map(_node, sets)), dtype=np.int64), list(map(len, made)))
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(made).view(np.int64)), pa.array(own)], names=["key", "node"])
 
 
+def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        sets = [shingles(t.as_py()) for t in batch.column(0)]
+        yield pa.RecordBatch.from_arrays([pa.array(list(map(_node, sets)), pa.int64()), pa.array([s.tobytes() for s in sets], pa.binary())], names=["node", "ids"])
+
+
 def _groups(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Rows come sorted by key; the distinct nodes of each key that has two or more."""
     key, node = np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.int64)
@@ -170,10 +174,9 @@ def _confirm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def read(docs: DataFrame) -> DataFrame:
-    """row_key, doc_id, mark (SimHash), node (hash of the set, 0 if empty), ids (the set), rid; written."""
+    """row_key, doc_id, mark (SimHash), node (hash of the shingle set, 0 if empty); written."""
     rows = docs.select(row_key(), F.col("doc_id").cast("long").alias("doc_id"), "text")
-    found = rows.mapInArrow(_read, "row_key string, doc_id long, mark long, node long, ids binary")
-    return scratch.written(found.withColumn("rid", F.monotonically_increasing_id()), "near-sets")
+    return scratch.written(rows.mapInArrow(_read, "row_key string, doc_id long, mark long, node long"), "near-rows")
 
 
 def row_key():
@@ -182,24 +185,38 @@ def row_key():
     return F.md5(F.concat(F.coalesce(F.col("doc_id").cast("string"), F.lit("null")), F.lit(" "), text)).alias("row_key")
 
 
-def links(rows: DataFrame) -> DataFrame:
-    """u, v: links between nodes at 0.8 or more that keep every component of such pairs."""
-    spark = rows.sparkSession
-    n = scratch.shuffle_partitions(spark)
-    filled = rows.where("node <> 0")
-    posted = filled.select("node", "ids").mapInArrow(_post, "key long, node long")
+def _candidates(docs: DataFrame) -> DataFrame:
+    """gid, nodes: the distinct postings of two nodes or more; written."""
+    n = scratch.shuffle_partitions(docs.sparkSession)
+    posted = docs.select("text").mapInArrow(_post, "key long, node long")
     found = posted.repartition(n, "key").sortWithinPartitions("key").mapInArrow(_groups, "nodes array<long>")
-    groups = scratch.written(found.distinct().withColumn("gid", F.monotonically_increasing_id()), "near-groups")
+    return scratch.written(found.distinct().withColumn("gid", F.monotonically_increasing_id()), "near-groups")
+
+
+def _wanted(docs: DataFrame, rows: DataFrame, nodes: DataFrame) -> DataFrame:
+    """node, ids: the shingle sets of the nodes, each once; written."""
+    first = rows.where("node <> 0").groupBy("node").agg(F.min("row_key").alias("row_key"))
+    one = first.join(nodes.distinct(), "node", "left_semi").select("row_key")
+    texts = docs.select(row_key(), "text").join(one, "row_key", "left_semi").dropDuplicates(["row_key"])
+    return scratch.written(texts.select("text").mapInArrow(_sets, "node long, ids binary"), "near-sets")
+
+
+def links(docs: DataFrame, rows: DataFrame) -> DataFrame:
+    """u, v: links between nodes at 0.8 or more that keep every component of such pairs; rows: read(docs)."""
+    spark = docs.sparkSession
+    groups = _candidates(docs)
     scratch.release(spark)
     flat = groups.select("gid", F.explode("nodes").alias("node"))
-    first = filled.groupBy("node").agg(F.min("rid").alias("rid"))
-    wanted = first.join(flat.select("node").distinct(), "node", "left_semi").select("rid")
-    sets = scratch.written(rows.join(wanted, "rid", "left_semi").select("node", "ids"), "near-wanted")
+    sets = _wanted(docs, rows, flat.select("node"))
+    scratch.release(spark)
 
     def confirmed(pairs: DataFrame) -> DataFrame:
         left, right = (sets.select(F.col("node").alias(i), F.col("ids").alias(f"{i}_ids")) for i in "uv")
         both = pairs.join(left, "u").join(right, "v").select("u", "v", "u_ids", "v_ids")
-        return scratch.written(both.mapInArrow(_confirm, "u long, v long"), "near-links")
+        found = scratch.written(both.mapInArrow(_confirm, "u long, v long"), "near-links")
+        del left, right, both
+        scratch.release(spark)
+        return found
 
     stars = groups.select(F.element_at("nodes", 1).alias("u"), F.explode("nodes").alias("v")).where("u <> v").distinct()
     stars = scratch.written(stars, "near-stars")
@@ -211,7 +228,9 @@ def links(rows: DataFrame) -> DataFrame:
     open_ = scratch.written(named.join(mixed, "gid", "left_semi"), "near-open")
     x, y = (open_.select("gid", F.col("node").alias(i), F.col("label").alias(f"{i}_label")) for i in "uv")
     rest = x.join(y, "gid").where("u < v and u_label <> v_label").select("u", "v").distinct()
-    return sure.union(confirmed(rest.join(stars, ["u", "v"], "left_anti")))
+    late = confirmed(rest.join(stars, ["u", "v"], "left_anti"))
+    scratch.drop(sets)
+    return sure.union(late)
 
 
 def one_of_each(docs: DataFrame) -> DataFrame:
@@ -221,12 +240,11 @@ def one_of_each(docs: DataFrame) -> DataFrame:
     has several in the component, is settled by a hash. doc_id itself links nothing.
     """
     rows = read(docs)
-    near = links(rows).union(simhash.links(rows)).union(rows.select(F.col("mark").alias("u"), F.col("node").alias("v")).distinct())
+    near = links(docs, rows).union(simhash.links(rows)).union(rows.select(F.col("mark").alias("u"), F.col("node").alias("v")).distinct())
     joined = components.components(near)
     small = rows.select("row_key", "doc_id", "node")
     rooted = small.join(joined, "node", "left").withColumn("root", F.coalesce("component", "node"))
     best = rooted.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", "row_key")).alias("best"))
     chosen = scratch.written(best.select("best.row_key"), "near-chosen")
-    scratch.drop(rows)
     scratch.release(docs.sparkSession)
     return docs.withColumn("row_key", row_key()).join(chosen, "row_key", "left_semi")
