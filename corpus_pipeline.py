@@ -21,10 +21,10 @@ def good_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 
 def one_of_each(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near-duplicate texts (5-word Jaccard 0.8 or more, or op9's rule) the row
-    of the smallest doc_id; of repeated rows one stays."""
+    """Of each group of near-duplicate texts (5-word Jaccard 0.8 or more, or op9's rule) one row, that
+    of the smallest doc_id; of repeated rows one. Different texts of one doc_id, or of none, are apart."""
     kept = near_copies.one_of_each(docs)
-    first = Window.partitionBy("doc_id").orderBy("text")
+    first = Window.partitionBy("row_key").orderBy(*[c for c in docs.columns if c not in ("doc_id", "text")])
     return kept.withColumn("copy_", F.row_number().over(first)).where("copy_ = 1").select(*docs.columns)
 
 

@@ -1,4 +1,4 @@
-"""The pipeline's near-duplicate stage against brute-force Jaccard."""
+"""The pipeline's near-duplicate stage against brute-force Jaccard, and rows without an id of their own."""
 
 import random
 from itertools import combinations
@@ -61,3 +61,12 @@ def test_near_sets_share_a_posting():
             x, y = np.sort(pool[:n]), np.sort(pool[gone:])
             assert 5 * (n - gone) >= 4 * (n + new)
             assert np.intersect1d(near_copies.postings(x), near_copies.postings(y)).size
+
+
+def test_rows_without_own_id_stay(spark):
+    draw = random.Random(4)
+    a, b, c, d = (" ".join(f"w{draw.randrange(900)}" for _ in range(80)) for _ in range(4))
+    rows = [(None, a), (None, b), (None, b), (7, c), (7, d), (7, d), (None, c + " x"), (9, a + " y"), (3, None), (None, None)]
+    docs = spark.createDataFrame([(i, t, "en", "s", 1) for i, t in rows], SCHEMA)
+    got = corpus_pipeline.one_of_each(spark, docs, "").select("doc_id", "text").collect()
+    assert sorted(map(tuple, got), key=str) == sorted([(9, a + " y"), (None, b), (7, c), (7, d), (3, None)], key=str)
