@@ -401,6 +401,39 @@ def bloom_fpr_strict(spark, d):
     return baselines.bloom_fpr(ks.where("release_no < 30"), 3000, 0.001, [4, 9, 19, 29], ks.where("release_no >= 30 and not pooled"))
 
 
+def _bloom_quarter_sql(fp: float) -> str:
+    """As _bloom_sql, but for a filter made for a quarter of the keys that are inserted."""
+    k = costmodel.bloom_bits(1_000_000, fp)[1]
+    pos = "(('0x' || substr(md5(key::varchar), 1, 8))::bigint + i * (('0x' || substr(md5(key::varchar), 9, 8))::bigint + 1)) % (select bits from cap)"
+    return f"""with {_STREAM},
+ins as (select * from ks where release_no < 30),
+cap as (select ceil(-n0 * ln({fp}) / (ln(2) * ln(2)))::bigint as bits from (select greatest(1, count(distinct key) // 4) as n0 from ins)),
+bt as (select {pos} as bit, min(release_no) as set_at from ins, range(0, {k}) g(i) group by 1),
+asked as (select rid, max(coalesce(set_at, 1073741824)) as hit_at from (select rid, {pos} as bit from ks, range(0, {k}) g(i) where release_no >= 30 and not pooled) q left join bt using (bit) group by rid)
+select s.step::int as step,
+ (select count(distinct key) from ins where release_no <= s.step)::bigint as n_inserted,
+ (select count(*) from asked where hit_at <= s.step)::bigint as fp, (select count(*) from asked)::bigint as holdout
+from (values (1), (4), (9), (19), (29)) s(step)"""
+
+
+def _bloom_quarter(spark, d, fp: float) -> DataFrame:
+    ks = releases.key_stream(spark, d)
+    stream = ks.where("release_no < 30")
+    n0 = max(1, stream.select("key").distinct().count() // 4)
+    return baselines.bloom_fpr(stream, n0, fp, [1, 4, 9, 19, 29], ks.where("release_no >= 30 and not pooled"))
+
+
+@query(_bloom_quarter_sql(0.01))
+def bloom_fpr_quarter(spark, d):
+    """As bloom_fpr, the capacity a quarter of the stream's keys: steps before and after it on any table."""
+    return _bloom_quarter(spark, d, 0.01)
+
+
+@query(_bloom_quarter_sql(0.001))
+def bloom_fpr_quarter_strict(spark, d):
+    return _bloom_quarter(spark, d, 0.001)
+
+
 @query("with q as (select vec_id, embedding from embeddings where vec_id % 100 = 0), s as (select q.vec_id as q, e.vec_id, round(list_cosine_similarity(q.embedding::double[], e.embedding::double[]), 6) as c from q cross join embeddings e where e.vec_id <> q.vec_id), r as (select *, row_number() over (partition by q order by c desc, vec_id) as rank from s) select q, rank::int as rank, vec_id from r where rank <= 10")
 def knn_exact(spark, d):
     """Ten nearest by cosine; the queries are one vector in a hundred, against all."""
