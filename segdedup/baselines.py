@@ -68,11 +68,12 @@ def transitive(band_keys: DataFrame) -> DataFrame:
 def ml_minhash(docs: DataFrame, tables: int = 8, distance: float = 0.3) -> DataFrame:
     """Spark ML's MinHash join of the documents' word sets: a, b, distance.
 
-    Equal word sets are joined once; their further documents stand beside the smallest at distance 0.
+    Texts without words have no row. Equal word sets are joined once; their further documents stand beside the smallest at distance 0.
     """
     from pyspark.ml.feature import HashingTF, MinHashLSH
 
-    words = docs.select("doc_id", F.split(keys.normalise(F.col("text")), " ").alias("w")).where(F.size("w") > 4)
+    split = F.filter(F.split(keys.normalise(F.col("text")), " "), lambda w: w != "")
+    words = docs.select("doc_id", split.alias("w")).where(F.size("w") > 0)
     words = scratch.written(words.withColumn("w", F.array_sort(F.array_distinct("w"))), "word-sets")
     groups = scratch.written(similarity.classes(words, "w"), "classes")
     words = similarity.representatives(words, groups)
