@@ -35,7 +35,7 @@ def bloom_fpr(stream: DataFrame, n0: int, fp: float, steps: list[int], holdout:
     step = F.explode(F.array(*[F.lit(s) for s in steps])).alias("step")
     hits = hit_at.select("hit_at", step).groupBy("step").agg(F.count(F.when(F.col("hit_at") <= F.col("step"), 1)).alias("fp"), F.count(F.lit(1)).alias("holdout"))
     grown = stream.groupBy("key").agg(F.min("release_no").alias("r")).select("r", step).groupBy("step").agg(F.count(F.when(F.col("r") <= F.col("step"), 1)).alias("n_inserted"))
-    return hits.join(grown, "step")
+    return hits.join(grown, "step").select("step", "n_inserted", "fp", "holdout")
 
 
 def served_topk(docs: DataFrame, config, top_k: int = 1, least: float = 0.5) -> DataFrame:

@@ -121,7 +121,9 @@ def _sets(spark, d) -> tuple[DataFrame, DataFrame, DataFrame]:
     return sets, found, scratch.written(similarity.representatives(sets, found), "representatives")
 
 
-_J = F.round(F.col("inter") / F.col("uni"), 6).alias("j")
+def _j():
+    """Jaccard of a counted pair; a function, since a Column needs a session."""
+    return F.round(F.col("inter") / F.col("uni"), 6).alias("j")
 
 
 @query(f"with {WORDS}{_PAIRS} select 'pair' as kind, * from jac where inter * 2 >= uni union all select 'class', rep, doc_id, n, n, 1.0 from cl where doc_id <> rep")
@@ -129,7 +131,7 @@ def jaccard_pairs(spark, d):
     """Pairs of Jaccard 0.5 or more between representatives of equal shingle sets, and each
     further member of a class (kind class) with its representative."""
     sets, found, chosen = _sets(spark, d)
-    pairs = similarity.pairs_above(chosen, 1, 2).select(F.lit("pair").alias("kind"), "a", "b", "inter", "uni", _J)
+    pairs = similarity.pairs_above(chosen, 1, 2).select(F.lit("pair").alias("kind"), "a", "b", "inter", "uni", _j())
     own = similarity.star(found).join(sets.select(F.col("doc_id").alias("b"), "n"), "b")
     return pairs.union(own.select(F.lit("class"), "a", "b", "n", "n", F.lit(1.0)))
 
@@ -186,7 +188,7 @@ def sig_estimates(spark, d):
     pairs = similarity.counted(_candidates(_chosen_keys(spark, d, found)).select("a", "b"), chosen)
     both = pairs.join(signed.select(F.col("doc_id").alias("a"), F.col("signature").alias("s")), "a").join(signed.select(F.col("doc_id").alias("b"), F.col("signature").alias("t")), "b")
     est = F.round(keys.similarity("s", "t"), 6)
-    out = both.select("a", "b", est.alias("est"), _J).withColumn("abs_err", F.round(F.abs(F.col("est") - F.col("j")), 6))
+    out = both.select("a", "b", est.alias("est"), _j()).withColumn("abs_err", F.round(F.abs(F.col("est") - F.col("j")), 6))
     return out.union(similarity.star(found).select("a", "b", F.lit(1.0), F.lit(1.0), F.lit(0.0)))
 
 
