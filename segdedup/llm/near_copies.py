@@ -9,9 +9,13 @@ empty buckets that none might be left, it posts the empty ones too. Postings of
 are thus a complete list of candidates. A passage that many texts share makes few of them,
 since a bucket of several shingles is equal as a whole or not at all.
 
-Of each posting all sets are compared with the first one; then those that are still in different
-components are compared with each other, so a group of near copies costs about one comparison a
-member and no pair between components is left out. A link is kept if the whole sets confirm it.
+Of each posting all sets are compared with the first one, so a group of near copies costs about
+one comparison a member. What is then still in different components of one posting is compared
+by parity sketches: an element flips one of SKETCH bits, so the sketches of two sets differ in no
+more bits than the sets do in elements, and a pair whose sketches differ in more than (a + b) / 9
+bits is no link. A task holds one block of a posting against another and gives only the pairs
+that may be links, which are few; no pair between components is left out. A link is kept if the
+whole sets confirm it.
 """
 
 from __future__ import annotations
@@ -27,6 +31,8 @@ from segdedup import components, scratch
 from segdedup.llm import simhash
 
 WIDTH, NUM, DEN = 5, 4, 5
+#: Bits of a parity sketch, and sets of a posting that a task holds against as many others.
+SKETCH, BLOCK = 1024, 2048
 _SPREAD = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xFF51AFD7ED558CCD], dtype=np.uint64)
 
 
@@ -111,10 +117,17 @@ def _post(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(made).view(np.int64)), pa.array(own)], names=["key", "node"])
 
 
+def sketch(ids: np.ndarray) -> bytes:
+    """Parity of the elements that fall on each of SKETCH bits."""
+    bits = np.bincount((_mix(ids ^ _SPREAD[0]) % np.uint64(SKETCH)).astype(np.int64), minlength=SKETCH) & 1
+    return np.packbits(bits.astype(np.uint8)).tobytes()
+
+
 def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         sets = [shingles(t.as_py()) for t in batch.column(0)]
-        yield pa.RecordBatch.from_arrays([pa.array(list(map(_node, sets)), pa.int64()), pa.array([s.tobytes() for s in sets], pa.binary())], names=["node", "ids"])
+        columns = [pa.array(list(map(_node, sets)), pa.int64()), pa.array([s.tobytes() for s in sets], pa.binary()), pa.array(list(map(len, sets)), pa.int64()), pa.array(list(map(sketch, sets)), pa.binary())]
+        yield pa.RecordBatch.from_arrays(columns, names=["node", "ids", "n", "sketch"])
 
 
 def _groups(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -161,6 +174,67 @@ def _groups(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     yield out()
 
 
+def _able(n: np.ndarray, marks: np.ndarray, label: np.ndarray, other: slice, own: slice) -> tuple[np.ndarray, np.ndarray]:
+    """Places of the pairs that sizes, labels and sketches allow to be links, own against other."""
+    x, y = np.arange(len(n))[own], np.arange(len(n))[other]
+    out = []
+    for at in range(0, len(x), 128):
+        i = x[at : at + 128]
+        total = n[i][:, None] + n[y][None, :]
+        far = np.zeros(total.shape, dtype=np.int64)
+        for k in range(marks.shape[1]):
+            far += np.bitwise_count(marks[i, k][:, None] ^ marks[y, k][None, :])
+        good = (label[i][:, None] != label[y][None, :]) & (9 * far <= total)
+        a, b = np.nonzero(good)
+        out.append((i[a], y[b]))
+    return tuple(np.concatenate(c) if out else np.zeros(0, dtype=np.int64) for c in (zip(*out, strict=True) if out else [(), ()]))
+
+
+def _block_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows come sorted by gid, a, b (a pair of blocks); candidates between the sets of blocks a and b."""
+    found: set[tuple[int, int]] = set()
+    held: list[pa.RecordBatch] = []
+    now = None
+
+    def close() -> None:
+        if not held:
+            return
+        rows = pa.Table.from_batches(held).combine_chunks()
+        node, label, n, block = (rows.column(c).to_numpy() for c in ("node", "label", "n", "block"))
+        order = np.argsort(block, kind="stable")
+        node, label, n = node[order], label[order], n[order]
+        marks = np.frombuffer(b"".join(rows.column("sketch").take(pa.array(order)).to_pylist()), dtype="<u8").reshape(len(node), -1)
+        _, a, b = now
+        cut = int(np.searchsorted(block[order], a, side="right"))
+        own, other = (slice(0, len(node)), slice(0, len(node))) if a == b else (slice(0, cut), slice(cut, len(node)))
+        i, j = _able(n, marks, label, other, own)
+        u, v = node[i], node[j]
+        lower, upper = np.minimum(u, v), np.maximum(u, v)
+        found.update(zip(lower[lower != upper].tolist(), upper[lower != upper].tolist(), strict=True))
+
+    def out() -> pa.RecordBatch:
+        pairs = np.array(sorted(found), dtype=np.int64).reshape(-1, 2)
+        found.clear()
+        return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["u", "v"])
+
+    for batch in batches:
+        keys = [batch.column(c).to_numpy() for c in ("gid", "a", "b")]
+        cuts = np.flatnonzero(np.any([np.diff(k) != 0 for k in keys], axis=0)) + 1
+        edges = [0, *cuts.tolist(), len(batch)]
+        for x, y in zip(edges[:-1], edges[1:], strict=True):
+            if x == y:
+                continue
+            this = tuple(int(k[x]) for k in keys)
+            if this != now:
+                close()
+                now, held = this, []
+            held.append(batch.slice(x, y - x))
+        if len(found) > 100_000:
+            yield out()
+    close()
+    yield out()
+
+
 def _confirm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         good = []
@@ -198,7 +272,19 @@ def _wanted(docs: DataFrame, rows: DataFrame, nodes: DataFrame) -> DataFrame:
     first = rows.where("node <> 0").groupBy("node").agg(F.min("row_key").alias("row_key"))
     one = first.join(nodes.distinct(), "node", "left_semi").select("row_key")
     texts = docs.select(row_key(), "text").join(one, "row_key", "left_semi").dropDuplicates(["row_key"])
-    return scratch.written(texts.select("text").mapInArrow(_sets, "node long, ids binary"), "near-sets")
+    return scratch.written(texts.select("text").mapInArrow(_sets, "node long, ids binary, n long, sketch binary"), "near-sets")
+
+
+def _across(open_: DataFrame, sets: DataFrame) -> DataFrame:
+    """u, v: pairs of one posting and different labels that sketches do not rule out; open_: gid, node, label."""
+    n = scratch.shuffle_partitions(open_.sparkSession)
+    many = open_.groupBy("gid").agg(F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("blocks"))
+    placed = open_.join(many, "gid").withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
+    # block x meets every block: as a where x <= y, as b where not
+    dealt = placed.withColumn("y", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    dealt = dealt.select("gid", F.least("block", "y").alias("a"), F.greatest("block", "y").alias("b"), "block", "node", "label")
+    sized = dealt.join(sets.select("node", "n", "sketch"), "node").select("gid", "a", "b", "block", "node", "label", "n", "sketch")
+    return sized.repartition(n, "gid", "a", "b").sortWithinPartitions("gid", "a", "b").mapInArrow(_block_pairs, "u long, v long").distinct()
 
 
 def links(docs: DataFrame, rows: DataFrame) -> DataFrame:
@@ -226,8 +312,7 @@ def links(docs: DataFrame, rows: DataFrame) -> DataFrame:
     named = scratch.written(named, "near-named")
     mixed = named.groupBy("gid").agg(F.min("label").alias("a"), F.max("label").alias("b")).where("a <> b").select("gid")
     open_ = scratch.written(named.join(mixed, "gid", "left_semi"), "near-open")
-    x, y = (open_.select("gid", F.col("node").alias(i), F.col("label").alias(f"{i}_label")) for i in "uv")
-    rest = x.join(y, "gid").where("u < v and u_label <> v_label").select("u", "v").distinct()
+    rest = scratch.written(_across(open_, sets), "near-rest")
     late = confirmed(rest.join(stars, ["u", "v"], "left_anti"))
     scratch.drop(sets)
     return sure.union(late)
