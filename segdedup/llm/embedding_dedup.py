@@ -1,22 +1,24 @@
 """Embedding near-duplicates by product quantisation.
 
-Fit (on at most SAMPLE vectors, those of least hash): `lists` coarse centroids by k-means on
-unit vectors, and for each of SUBSPACES parts of the residuals a codebook of CODES entries.
+Fit (on at most SAMPLE vectors, those under a hash threshold): coarse centroids by k-means on
+unit vectors, one list for LIST_ROWS vectors up to a list for SAMPLE_ROWS of the sample, and for
+each of SUBSPACES parts of the residuals a codebook of CODES entries.
 Index (every vector): the nearest list, the residual's codes, and the length of what the codes
 miss. Search (every vector): the lists whose centroid is within MARGIN of the nearest one, at
 most PROBES; in a list, distances come from the query's lookup table, code by code. As the true
 distance is at least the looked-up one less what the codes miss, dropping vectors beyond that
 bound loses no link in the lists probed. What is left is ranked anew by the exact cosine in
-double precision.
+double precision. A link may be missed if neither vector's search probes the other's list: recall
+is measured against brute force on planted pairs just above the limit (README, tests).
 
-Equal vectors are one node, whatever the number of copies. Lists are cut into blocks of BLOCK
-members, so a crowded list is many tasks. A block gives, for each query, its number of links
+Equal vectors are one node, whatever the number of copies. Lists are cut into blocks
+of a bounded number of members, so a crowded list is many tasks. A block gives, for each query, its number of links
 (a pair that both ways find counts once each way) and the links of a spanning forest: counts
 are those of all links found, components lose none, and no group gives all its pairs.
 
-Vectors that are null or zero, of another length than most, or hold null or non-finite
-components, link with nothing. Repeated rows (equal vec_id too) are copies like any other. An
-empty table gives an empty result.
+Vectors that are null, empty or zero, or hold null or non-finite components, link with nothing;
+vectors of each length link among themselves. Repeated rows (equal vec_id too) are copies like any
+other. An empty table gives an empty result; other columns are not looked at.
 """
 
 from __future__ import annotations
@@ -30,12 +32,15 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from segdedup import components, scratch
+from segdedup.llm import sampling
 
 LEAST = 0.95
-SAMPLE, LIST_ROWS, MAX_LISTS = 20_000, 400, 2048
+SAMPLE, LIST_ROWS, SAMPLE_ROWS = 131_072, 400, 8
 SUBSPACES, CODES = 8, 64
 PROBES, MARGIN = 8, 0.12
-BLOCK, QUERIES_AT_A_TIME = 2048, 4096
+#: Members of a block at least and at most (it grows with the table, so that queries are copied to few blocks).
+LEAST_BLOCK, MOST_BLOCK, BLOCKS = 2048, 65_536, 4096
+QUERIES_AT_A_TIME = 512
 
 
 @dataclass
@@ -83,22 +88,22 @@ def _kmeans(x: np.ndarray, k: int, rounds: int = 10) -> np.ndarray:
     rng = np.random.default_rng(0)
     centres = x[rng.choice(len(x), size=min(k, len(x)), replace=False)].copy()
     for _ in range(rounds):
-        near = ((centres**2).sum(1)[None, :] - 2 * x @ centres.T).argmin(1)
+        length = (centres**2).sum(1)[None, :]
+        near = np.concatenate([(length - 2 * x[at : at + 2048] @ centres.T).argmin(1) for at in range(0, len(x), 2048)])
         n = np.bincount(near, minlength=len(centres))
-        total = np.zeros_like(centres)
-        np.add.at(total, near, x)
+        total = np.stack([np.bincount(near, x[:, d], minlength=len(centres)) for d in range(x.shape[1])], axis=1)
         centres[n > 0] = total[n > 0] / n[n > 0][:, None]
     return centres
 
 
 def fit(sample: np.ndarray, rows: int) -> Quantiser:
     """sample: unit vectors; rows: how many vectors there are, which sets the number of lists."""
-    lists = int(min(MAX_LISTS, max(1, rows // LIST_ROWS), len(sample)))
+    lists = int(min(max(1, len(sample) // SAMPLE_ROWS), max(1, rows // LIST_ROWS)))
     coarse = _kmeans(sample, lists)
     dims = sample.shape[1]
     width = -(-dims // SUBSPACES)
     q = Quantiser(coarse, np.zeros((SUBSPACES, 1, width)), dims)
-    home = np.array([n[0] for n in q.nearest(sample, 1, 0)])
+    home = np.array([n[0] for at in range(0, len(sample), 512) for n in q.nearest(sample[at : at + 512], 1, 0)])
     r = q.parts(sample - coarse[home])
     books = [_kmeans(r[:, s], CODES) for s in range(SUBSPACES)]
     q.books = np.stack(books)
@@ -115,8 +120,8 @@ def _assign(q: Quantiser):
             n = len(batch)
             x = batch.column("vector").flatten().to_numpy(zero_copy_only=False).reshape(n, q.dims) if n else np.zeros((0, q.dims))
             near = []
-            for at in range(0, n, 1024):
-                near += q.nearest(_unit(x[at : at + 1024]), PROBES, MARGIN)
+            for at in range(0, n, 512):
+                near += q.nearest(_unit(x[at : at + 512]), PROBES, MARGIN)
             yield pa.RecordBatch.from_arrays([batch.column("node"), batch.column("copies"), batch.column("vector"), pa.array([p.tolist() for p in near], pa.list_(pa.int32()))], names=["node", "copies", "vector", "probes"])
 
     return assign
@@ -161,8 +166,9 @@ def _block_kernel(q: Quantiser, least: float):
                 codes, miss = q.encode(_unit(mx), np.full(len(mx), place))
                 mnorm = np.sqrt((mx**2).sum(1))
             pick = np.flatnonzero(~inside)
-            for at in range(0, len(pick), QUERIES_AT_A_TIME // 8):
-                rows = pick[at : at + QUERIES_AT_A_TIME // 8]
+            step = max(16, QUERIES_AT_A_TIME * LEAST_BLOCK // max(LEAST_BLOCK, len(mnode)))
+            for at in range(0, len(pick), step):
+                rows = pick[at : at + step]
                 qx = x[rows]
                 maybe = q.distances(_unit(qx), place, codes) - miss[None, :] <= radius
                 i, j = np.nonzero(maybe)
@@ -195,38 +201,41 @@ def _block_kernel(q: Quantiser, least: float):
 def deduplicate(vectors: DataFrame, least: float = LEAST) -> DataFrame:
     """vec_id, n_links, component_id, kept of every row of vectors (vec_id, embedding)."""
     as_double = F.col("embedding").cast("array<double>")
-    size = vectors.where(F.size("embedding") > 0).groupBy(F.size("embedding").alias("dims")).count().orderBy(F.desc("count"), "dims").first()
-    dims = size["dims"] if size else 0
     finite = F.forall("vector", lambda v: v.isNotNull() & ~F.isnan(v) & (F.abs(v) < F.lit(float("inf"))))
-    usable = F.coalesce((F.size("vector") == dims) & finite & F.exists("vector", lambda v: v != 0), F.lit(False))
+    usable = F.coalesce(finite & F.exists("vector", lambda v: v != 0), F.lit(False))
     rows = scratch.written(vectors.select(F.col("vec_id").cast("long"), as_double.alias("vector")).withColumn("usable", usable), "vectors")
-    alone = rows.where(~F.col("usable")).select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"))
-    if not size or not rows.where("usable").head(1):
-        return alone.withColumn("kept", F.lit(True))
+    found = rows.where(~F.col("usable")).select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"))
+    lengths = rows.where("usable").select(F.size("vector").alias("dims")).distinct().collect()  # as many as there are lengths
+    for (dims,) in sorted(map(tuple, lengths)):
+        found = found.unionByName(_linked(rows.where(F.col("usable") & (F.size("vector") == dims)), least))
+    return found.withColumn("kept", F.coalesce(F.col("vec_id") == F.col("component_id"), F.lit(True)))
 
+
+def _linked(rows: DataFrame, least: float) -> DataFrame:
+    """vec_id, n_links, component_id of usable vectors of one length."""
     # one node for each distinct vector; -0.0 is 0.0
-    good = rows.where("usable").select("vec_id", F.transform("vector", lambda v: v + F.lit(0.0)).alias("vector"))
+    good = rows.select("vec_id", F.transform("vector", lambda v: v + F.lit(0.0)).alias("vector"))
     nodes = scratch.written(good.groupBy("vector").agg(F.min("vec_id").alias("node"), F.count(F.lit(1)).alias("copies")), "vector-nodes")
     n = nodes.count()
-    sample = nodes.orderBy(F.xxhash64("node"), "node").limit(SAMPLE).select("vector").collect()  # at most SAMPLE
-    q = fit(_unit(np.array([r[0] for r in sample])), n)
+    sample = sampling.least_hashed(nodes, F.col("vector"), SAMPLE).select("vector").toArrow().column("vector").combine_chunks()  # at most SAMPLE
+    drawn = sample.flatten().to_numpy(zero_copy_only=False).reshape(len(sample), -1)
+    q = fit(_unit(drawn[np.lexsort(drawn.T[::-1])]), n)
 
     placed = scratch.written(nodes.mapInArrow(_assign(q), "node long, copies long, vector array<double>, probes array<int>"), "vector-lists")
     home = F.col("probes")[0]
-    crowd = placed.groupBy(home.alias("list")).agg(F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("n_blocks"))  # at most MAX_LISTS rows
-    crowd = F.broadcast(crowd)
+    size = min(MOST_BLOCK, max(LEAST_BLOCK, n // BLOCKS))
+    crowd = placed.groupBy(home.alias("list")).agg(F.ceil(F.count(F.lit(1)) / size).cast("int").alias("n_blocks"))
+    crowd = F.broadcast(crowd)  # no more rows than lists: SAMPLE / SAMPLE_ROWS
     block = F.pmod(F.xxhash64("node"), F.col("n_blocks")).cast("int")
     members = placed.withColumn("list", home).join(crowd, "list").select("list", block.alias("block"), F.lit(0).alias("role"), "node", "copies", "vector", "probes")
     queries = placed.withColumn("list", F.explode("probes")).join(crowd, "list").withColumn("block", F.explode(F.sequence(F.lit(0), F.col("n_blocks") - 1)))
     both = members.unionByName(queries.select("list", "block", F.lit(1).alias("role"), "node", "copies", "vector", "probes"))
-    found = _per_block(both, q, least)
-    found = scratch.written(found, "vector-links")
+    found = scratch.written(_per_block(both, q, least), "vector-links")
 
     counts = found.where(F.col("kind") == COUNT).groupBy(F.col("u").alias("node")).agg(F.sum("v").alias("others"))
     joined = components.components(found.where(F.col("kind") == LINK).select("u", "v"))
     named = nodes.join(counts, "node", "left").join(joined, "node", "left").select("vector", (F.col("copies") - 1 + F.coalesce("others", F.lit(0))).alias("n_links"), F.coalesce("component", "node").alias("component_id"))
-    linked = good.join(named, "vector").select("vec_id", "n_links", "component_id")
-    return linked.unionByName(alone).withColumn("kept", F.coalesce(F.col("vec_id") == F.col("component_id"), F.lit(True)))
+    return good.join(named, "vector").select("vec_id", "n_links", "component_id")
 
 
 def _per_block(both: DataFrame, q: Quantiser, least: float) -> DataFrame:

@@ -9,7 +9,8 @@ hash; a larger budget takes a superset of a smaller one.
 
 Rows of equal hash (repeated doc_id) are taken together or not at all. A null text has
 size 0, a null doc_id hashes like an empty string, null sources are one source, the last
-in order. An empty table gives an empty mix. Extra columns do not matter.
+in order. An empty table gives an empty mix. Very long texts count whole. Extra columns do not
+matter, whatever their names: rows() carries them in one struct.
 """
 
 from __future__ import annotations
@@ -72,14 +73,20 @@ def _boundary(rows: DataFrame, low: int) -> DataFrame:
     )
 
 
-def mix(docs: DataFrame, weights: list[float], share: float, max_repeat: int = 2, keep: list[str] | None = None) -> DataFrame:
-    """Every row with size, source_size, target, taken and copies (how often the mix has it).
+def rows(docs: DataFrame, weights: list[float], share: float, max_repeat: int = 2) -> DataFrame:
+    """The rows of docs as often as the mix takes them, all of their columns kept."""
+    taken = mix(docs, weights, share, max_repeat, whole=True).where("copies > 0")
+    return taken.select("row", F.explode(F.sequence(F.lit(1), F.col("copies")))).select("row.*")
+
+
+def mix(docs: DataFrame, weights: list[float], share: float, max_repeat: int = 2, whole: bool = False) -> DataFrame:
+    """doc_id, source, size, source_size, target, taken, copies (how often the mix has it) of every row.
 
     weights repeat over the sources in order; share is the mix's size by the corpus's.
-    keep: further columns of docs to carry along.
+    whole: carry the row of docs along, as the struct `row`.
     """
-    spark = docs.sparkSession
-    narrow = docs.select(*dict.fromkeys(["doc_id", "source", *(keep or [])]), size_of(F.col("text")).alias("size"), hash60(F.col("doc_id")).alias("h"))
+    carried = [F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row")] if whole else []
+    narrow = docs.select("doc_id", "source", *carried, size_of(F.col("text")).alias("size"), hash60(F.col("doc_id")).alias("h"))
     stored = scratch.written(narrow, "mix")
     sized = stored.select("source", "size", "h")
     goal = scratch.written(targets(sized, weights, share, max_repeat), "mix-targets")

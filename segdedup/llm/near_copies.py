@@ -24,7 +24,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from segdedup import components, scratch
@@ -332,4 +332,8 @@ def one_of_each(docs: DataFrame) -> DataFrame:
     best = rooted.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", "row_key")).alias("best"))
     chosen = scratch.written(best.select("best.row_key"), "near-chosen")
     scratch.release(docs.sparkSession)
-    return docs.withColumn("row_key", row_key()).join(chosen, "row_key", "left_semi")
+    fields = [F.col(f"`{c}`") for c in docs.columns]
+    keyed = docs.select(row_key(), F.struct(*fields).alias("row")).join(chosen, "row_key", "left_semi")
+    others = [F.col("row").getField(c) for c in docs.columns if c not in ("doc_id", "text")]
+    first = Window.partitionBy("row_key").orderBy(*(others or [F.lit(0)]))  # of repeated rows one
+    return keyed.withColumn("place", F.row_number().over(first)).where("place = 1").select("row.*")

@@ -12,8 +12,9 @@ constant time. Each range partition is a stream of its own and ends with one win
 be short; the cost of padding nowhere else is more than the cuts allow.
 
 Pieces of a document are the parts of it that windows hold. A null or empty text is just the
-end id. Repeated rows are packed as often as they occur, null doc_ids come first, an empty
-table gives no pieces.
+end id, a very long one has a piece in each of many windows. Repeated rows are packed as often
+as they occur, null doc_ids come first, an empty table gives no pieces. Columns other than doc_id
+and text are not looked at.
 """
 
 from __future__ import annotations

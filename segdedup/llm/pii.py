@@ -192,28 +192,56 @@ def detect(docs: DataFrame) -> DataFrame:
     return found.withColumn("spans", F.array_join(text, ",")).drop("found")
 
 
+def covering(found: list[tuple[int, int, int]]) -> list[tuple[int, int, int]]:
+    """start, end, kind of the maximal runs that (start, end, kind) cover together; the first one names a run."""
+    out: list[tuple[int, int, int]] = []
+    for a, b, kind in sorted(found):
+        if out and a < out[-1][1]:
+            out[-1] = (out[-1][0], max(b, out[-1][1]), out[-1][2])
+        else:
+            out.append((a, b, kind))
+    return out
+
+
+CANDIDATES = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64()), ("kind", pa.int32()), ("base", pa.bool_()), ("votes", pa.string())]))
+
+
+def _propose(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """row and text come in; row and the candidates go out."""
+    for batch in batches:
+        every = [[{"start": a, "end": b, "kind": k, "base": base, "votes": v} for a, k, b, base, v in spans(text.as_py() or "")] for text in batch.column("text")]
+        yield pa.RecordBatch.from_arrays([batch.column("row"), pa.array(every, CANDIDATES)], names=["row", "found"])
+
+
 def _redactor(accepted: set[str]):
     def redact(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            at = batch.schema.get_field_index("text")
             out = []
-            for cell in batch.column(at):
+            for cell, found in zip(batch.column("text"), batch.column("found").to_pylist(), strict=True):
                 text = cell.as_py()
                 parts, last = [], 0
-                for a, k, b, base, votes in spans(text or ""):
-                    if a >= last and (base or votes in accepted):
-                        parts += [text[last:a], f"<{KINDS[k].upper()}>"]
-                        last = b
-                out.append(text if text is None else "".join([*parts, text[last:]]))
-            yield pa.RecordBatch.from_arrays([pa.array(out, pa.string()) if i == at else c for i, c in enumerate(batch.columns)], names=batch.schema.names)
+                for a, b, kind in covering([(s["start"], s["end"], s["kind"]) for s in found if s["base"] or s["votes"] in accepted]):
+                    parts += [text[last:a], f"<{KINDS[kind].upper()}>"]
+                    last = b
+                out.append("".join([*parts, text[last:]]) if parts else text)
+            yield pa.RecordBatch.from_arrays([batch.column("row"), pa.array(out, pa.string())], names=["row", "clean"])
 
     return redact
 
 
 def redact(docs: DataFrame) -> DataFrame:
-    """docs with each span replaced by its kind in angle brackets; nothing else changes."""
-    accepted = learn(scratch.written(find(docs).select("found"), "pii"))
-    return docs.mapInArrow(_redactor(accepted), docs.schema)
+    """docs with each run of overlapping spans replaced by the kind of its first in angle brackets.
+
+    Texts are parsed once: the candidates are written beside the rows, the votes are counted
+    there, and the second pass only cuts.
+    """
+    fields = [F.col(f"`{c}`") for c in docs.columns]
+    rows = docs.select(F.struct(*fields).alias("row"), F.col("text"))
+    kind = rows.schema["row"].dataType.simpleString()
+    found = scratch.written(rows.mapInArrow(_propose, f"row {kind}, found array<struct<start: long, end: long, kind: int, base: boolean, votes: string>>"), "pii")
+    accepted = learn(found)
+    cut = found.select("row", F.col("row.text").alias("text"), "found").mapInArrow(_redactor(accepted), f"row {kind}, clean string")
+    return cut.select(*[F.col("clean").alias(c) if c == "text" else F.col("row").getField(c).alias(c) for c in docs.columns])
 
 
 def op6_pii(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -7,10 +7,12 @@ adds a small step of it to that feature's lookup table. Then the PAIRS pairs of
 the largest gain left get tables over coarser bins in the same way. A score is the sum of the
 looked-up values, by vectorised additions.
 
-Labels come from at most MAX_ROWS labelled rows that are not held out, those of the least hash
-of doc_id. labels, lang, source and doc_id are never inputs of a score. Null and empty texts
-are scored like any other (all features at zero). A doc_id with several labels counts once for
-each. Without labels of both kinds every score is 0.5.
+Labels come from at most MAX_ROWS labelled documents that are not held out, those under a hash
+threshold of doc_id. labels, lang, source and doc_id are never inputs of a score. Null and empty
+texts are scored like any other (all features at zero), very long ones whole. A doc_id counts once
+for each label it has, whatever its repeated rows. Without labels of both kinds every score is 0.5.
+Null doc_ids are scored and never held out, an empty table gives an empty result, columns other
+than doc_id and text are not looked at.
 """
 
 from __future__ import annotations
@@ -25,7 +27,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from segdedup import scratch
-from segdedup.llm import quality_rules
+from segdedup.llm import quality_rules, sampling
 
 MAX_ROWS, BINS, PAIR_BINS, PAIRS = 20_000, 32, 8, 5
 ROUNDS, PAIR_ROUNDS, RATE = 120, 60, 0.1
@@ -170,8 +172,10 @@ def score(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS) -> DataF
     measured = quality_rules.measure(docs.select(F.col("doc_id").cast("long"), "text")).select("doc_id", held_out().alias("held_out"), *[c.alias(n) for n, c in named.items()])
     stored = scratch.written(measured, "quality-features")
     known = labels.where(F.col("quality").isin(0, 1)).select("doc_id", "quality")
-    rows = stored.where(~F.col("held_out")).join(known, "doc_id").orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_rows).select("quality", *named).collect()  # at most max_rows
-    data = np.array([tuple(r) for r in rows], dtype=float).reshape(-1, 1 + len(named))
+    labelled = stored.where(~F.col("held_out")).join(known, "doc_id").groupBy("doc_id", "quality").agg(F.min(F.struct(*named)).alias("f"))
+    labelled = scratch.written(labelled.select("doc_id", "quality", "f.*"), "quality-labelled")
+    rows = sampling.least_hashed(labelled, F.col("doc_id"), max_rows).select("quality", *named).collect()  # at most max_rows
+    data = np.array(sorted(map(tuple, rows)), dtype=float).reshape(-1, 1 + len(named))
     model = train(data[:, 1:], data[:, 0])
     scored = stored.mapInArrow(_scorer(model, list(named)), "doc_id long, held_out boolean, score double")
     return scored.withColumn("predicted", (F.col("score") >= PREDICT_FROM).cast("int"))

@@ -7,8 +7,9 @@ of good documents. A document is kept if its posterior probability of being good
 `least` and no hard limit fails, so one borderline rule does not reject a document.
 
 Words are runs without ASCII white space; lines are split at \\n. A null or empty text has
-no words and fails the hard limit. Repeated rows get equal rows, null doc_ids stay, an empty
-table gives an empty result; a column of docs named like a measure gives way to it.
+no words and fails the hard limit. Very long texts are measured whole. Repeated rows get equal
+rows, null doc_ids stay, an empty table gives an empty result. Extra columns may have any name:
+accepted() carries them in one struct, judge() gives doc_id and its own columns only.
 """
 
 from __future__ import annotations
@@ -57,9 +58,9 @@ def with_repeated_words(split: DataFrame) -> DataFrame:
     return places.withColumn("n_repeat_words", F.coalesce(F.size(covered), F.lit(0)).cast("long")).drop("hashes_", "ordered_", "places_")
 
 
-def measure(docs: DataFrame) -> DataFrame:
-    """docs with the measures of MEASURES, all long."""
-    text = F.coalesce(F.col("text"), F.lit(""))
+def measure(docs: DataFrame, text: str = "text") -> DataFrame:
+    """docs with the measures of MEASURES, all long; text: the column (or field) that holds the texts."""
+    text = F.coalesce(F.col(text), F.lit(""))
     rare = F.contains(text, F.lit("\t")) | F.contains(text, F.lit("\r")) | F.contains(text, F.lit("\x0b")) | F.contains(text, F.lit("\x0c"))
     spaced = F.replace(F.when(rare, F.translate(text, "\t\r\x0b\x0c", "    ")).otherwise(text), F.lit("\n"), F.lit(" "))
     lines = F.filter(F.split(text, "\n"), lambda s: F.length(F.trim(F.when(rare, F.translate(s, "\t\r\x0b\x0c", "    ")).otherwise(s))) > 0)
@@ -138,11 +139,22 @@ def posterior(model: dict) -> Column:
 
 
 def judge(docs: DataFrame, least: float = 0.5) -> DataFrame:
-    """docs with the measures, base_failed, posterior and kept.
+    """doc_id, text, the measures, base_failed, posterior and kept of each row of docs."""
+    return _judged(votes(measure(docs.select("doc_id", "text"))), least)
+
+
+def accepted(docs: DataFrame, least: float = 0.5) -> DataFrame:
+    """The rows of docs that are kept, all of their columns with them."""
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
+    return _judged(votes(measure(rows, "row.text")), least).where("kept").select("row.*")
+
+
+def _judged(voted: DataFrame, least: float) -> DataFrame:
+    """voted with base_failed, posterior and kept.
 
     The model is fitted on the documents that no hard limit rejects: they are the ones it judges.
     """
-    voted = scratch.written(votes(measure(docs)), "quality")
+    voted = scratch.written(voted, "quality")
     failed = (F.col("n_words") < MIN_WORDS) | (100 * F.col("n_repeat_words") > MAX_REPEAT_PERCENT * F.col("n_words"))
     counts = voted.where(~failed).groupBy(*[f"v_{r}" for r in RULES]).count().collect()  # at most 3^9 rows
     model = fit([(tuple(int(x) for x in row[:-1]), row[-1]) for row in counts])

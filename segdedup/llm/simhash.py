@@ -6,14 +6,15 @@ The index posts each distinct fingerprint under positional bytes: the bytes are
 four pairs, of which at least two agree in full, so the postings are the six combinations of
 two pairs (32 bits). Within a posting the shared positional bytes of each pair of fingerprints
 are tallied, pairs with at least 6 are retained and verified by their differing bits. A
-posting longer than TALLY is first split by two further bytes (with 6 shared bytes two of the
-other four agree), and what is still longer is looked up by the ball of 2 bits around each
-fingerprint, so a group of thousands of near copies never gives all its pairs: a posting
-yields at most the links of a spanning forest, which keeps every component.
+posting longer than SPLIT is split by two further bytes before the shuffle (with 6 shared bytes
+two of the other four agree), so no task holds more than 65,536 fingerprints of a posting; what
+is then still longer than TALLY is looked up by the ball of 2 bits around each fingerprint. A
+posting gives stars around the roots of its components, never all its pairs.
 
 Equal fingerprints are one node whatever the number of copies. A null text has no words: its
 fingerprint is zero and links like any other. Repeated rows stay; null doc_ids stay, and
-count as a component's doc_id only where it has no other. An empty table gives none.
+count as a component's doc_id only where it has no other. An empty table gives none. Texts are
+read whole, however long; columns other than doc_id and text are not looked at.
 """
 
 from __future__ import annotations
@@ -29,8 +30,8 @@ from pyspark.sql import functions as F
 from segdedup import components, scratch
 
 SEED, WIDTH, MAX_BITS, MIN_BYTES = 42, 3, 2, 6
-#: Fingerprints of a posting that are tallied pair by pair.
-TALLY = 512
+#: Fingerprints of a posting that are tallied at once, and up to which it is not split.
+TALLY, SPLIT = 512, 4096
 
 
 def fingerprint(text: str | None) -> int:
@@ -101,13 +102,15 @@ class _Forest:
         return a != b
 
 
-def _tally(marks: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Index pairs that share MIN_BYTES positional bytes and differ in at most MAX_BITS bits."""
+def _tally(marks: np.ndarray, start: int = 0, stop: int | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Index pairs i < j, i from start to stop, that share MIN_BYTES positional bytes and differ in at most MAX_BITS bits."""
     bytes_ = marks.view(np.uint8).reshape(-1, 8)
-    shared = np.zeros((len(marks), len(marks)), dtype=np.uint8)
+    own = bytes_[start:stop]
+    shared = np.zeros((len(own), len(marks)), dtype=np.uint8)
     for k in range(8):
-        shared += bytes_[:, k][:, None] == bytes_[:, k][None, :]
-    i, j = np.nonzero(np.triu(shared >= MIN_BYTES, 1))
+        shared += own[:, k][:, None] == bytes_[:, k][None, :]
+    i, j = np.nonzero(np.triu(shared >= MIN_BYTES, start + 1))
+    i = i + start
     near = _popcount(marks[i] ^ marks[j]) <= MAX_BITS
     return i[near], j[near]
 
@@ -124,45 +127,44 @@ def _ball(marks: np.ndarray, free: list[int]) -> Iterator[tuple[np.ndarray, np.n
 
 
 def posting_links(marks: np.ndarray, fixed: tuple[int, ...]) -> list[tuple[int, int]]:
-    """Forest links of one posting; fixed: the bytes in which all marks agree."""
+    """Links of one posting that keep its components; fixed: the bytes in which all marks agree.
+
+    A posting that was not split has at most SPLIT marks, a split one two free bytes.
+    """
     marks = np.unique(marks.view("<u8"))
-    forest, links = _Forest(len(marks)), []
+    forest = _Forest(len(marks))
 
-    def add(i: np.ndarray, j: np.ndarray, names: np.ndarray | None = None) -> None:
+    def add(i: np.ndarray, j: np.ndarray) -> None:
         for a, b in zip(i.tolist(), j.tolist(), strict=True):
-            a, b = (a, b) if names is None else (int(names[a]), int(names[b]))
-            if forest.join(a, b):
-                links.append((a, b))
+            forest.join(a, b)
 
-    if len(marks) <= TALLY:
-        add(*_tally(marks))
+    others = [k for k in range(8) if k not in fixed]
+    if len(marks) <= TALLY or len(others) > 2:
+        for at in range(0, len(marks), TALLY):  # a band of rows at a time
+            add(*_tally(marks, at, at + TALLY))
     else:
-        bytes_ = marks.view(np.uint8).reshape(-1, 8)
-        others = [k for k in range(8) if k not in fixed]
-        for pair in combinations(others, 2):
-            key = bytes_[:, pair[0]].astype(np.uint32) << 8 | bytes_[:, pair[1]]
-            order = np.argsort(key, kind="stable")
-            cuts = np.flatnonzero(np.diff(key[order])) + 1
-            for group in np.split(order, cuts):
-                if len(group) > TALLY:
-                    for i, j in _ball(marks[group], [k for k in others if k not in pair]):
-                        add(i, j, group)
-                elif len(group) > 1:
-                    add(*_tally(marks[group]), group)
+        for i, j in _ball(marks, others):
+            add(i, j)
     signed = marks.view("<i8")  # as stars around the roots, which settle in fewer rounds than chains
-    return [(int(signed[i]), int(signed[r])) for i in sorted({i for link in links for i in link}) if (r := forest.root(i)) != i]
+    return [(int(signed[i]), int(signed[r])) for i in range(len(marks)) if (r := forest.root(i)) != i]
+
+
+def _fixed_bytes(posting: int, part: int) -> tuple[int, ...]:
+    a, b = GROUPS[posting]
+    held = (2 * a, 2 * a + 1, 2 * b, 2 * b + 1)
+    free = [k for k in range(8) if k not in held]
+    return held if part < 0 else held + tuple(free[k] for k in GROUPS[part])
 
 
 def _posting_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows come sorted by posting and key; links of each run of two marks or more."""
+    """Rows come sorted by posting, part and key; links of each run of two marks or more."""
     u, v = [], []
     held: list[np.ndarray] = []
-    now: tuple[int, int] | None = None
+    now: tuple[int, int, int] | None = None
 
     def close() -> None:
         if now is not None and sum(map(len, held)) > 1:
-            a, b = GROUPS[now[0]]
-            for x, y in posting_links(np.concatenate(held), (2 * a, 2 * a + 1, 2 * b, 2 * b + 1)):
+            for x, y in posting_links(np.concatenate(held), _fixed_bytes(now[0], now[1])):
                 u.append(x)
                 v.append(y)
 
@@ -173,11 +175,14 @@ def _posting_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatc
         return rows
 
     for batch in batches:
-        posting, key, mark = (batch.column(n).to_numpy(zero_copy_only=False) for n in ("posting", "key", "mark"))
-        cuts = np.flatnonzero((np.diff(posting) != 0) | (np.diff(key) != 0)) + 1
+        names = [batch.column(n).to_numpy(zero_copy_only=False) for n in ("posting", "part", "key")]
+        mark = batch.column("mark").to_numpy(zero_copy_only=False)
+        cuts = np.flatnonzero(np.any([np.diff(x) != 0 for x in names], axis=0)) + 1
         edges = [0, *cuts.tolist(), len(mark)]
         for a, b in zip(edges[:-1], edges[1:], strict=True):
-            this = (int(posting[a]), int(key[a]))
+            if a == b:
+                continue
+            this = tuple(int(x[a]) for x in names)
             if this != now:
                 close()
                 now, held = this, []
@@ -188,13 +193,33 @@ def _posting_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatc
     yield out()
 
 
+def _split(crowded: DataFrame) -> DataFrame:
+    """posting, part, key, mark of postings longer than SPLIT, under two further bytes each.
+
+    With MIN_BYTES shared bytes and four of them fixed, two of the other four agree.
+    """
+    byte = lambda k: F.shiftrightunsigned("mark", 8 * k).bitwiseAND(F.lit(0xFF))
+    parts = []
+    for posting in range(len(GROUPS)):
+        keys = []
+        for part in range(len(GROUPS)):
+            x, y = _fixed_bytes(posting, part)[4:]
+            more = F.shiftleft(F.col("key"), 16).bitwiseOR(F.shiftleft(byte(x), 8)).bitwiseOR(byte(y))
+            keys.append(F.struct(F.lit(part).alias("part"), more.alias("key")))
+        parts.append(F.when(F.col("posting") == posting, F.array(*keys)))
+    return crowded.select("posting", F.explode(F.coalesce(*parts)).alias("p"), "mark").select("posting", "p.part", "p.key", "mark")
+
+
 def links(marks: DataFrame) -> DataFrame:
     """u, v: links between distinct fingerprints that keep every component."""
     spark = marks.sparkSession
     posted = _postings(marks.select("mark").distinct())
-    crowded = posted.groupBy("posting", "key").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("posting", "key")
+    sizes = posted.groupBy("posting", "key").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    several = scratch.written(posted.join(sizes, ["posting", "key"]), "simhash-postings")
+    short = several.where(F.col("n") <= SPLIT).select("posting", F.lit(-1).alias("part"), "key", "mark")
     n = scratch.shuffle_partitions(spark)
-    return posted.join(crowded, ["posting", "key"], "left_semi").repartition(n, "posting", "key").sortWithinPartitions("posting", "key").mapInArrow(_posting_kernel, "u long, v long")
+    every = short.unionByName(_split(several.where(F.col("n") > SPLIT)))
+    return every.repartition(n, "posting", "part", "key").sortWithinPartitions("posting", "part", "key").mapInArrow(_posting_kernel, "u long, v long")
 
 
 def near_duplicates(docs: DataFrame) -> DataFrame:

@@ -26,8 +26,13 @@ Skew. A group of equal entries within a buffer of text is one entry before any s
 with more than HOT contexts in a buffer sends its bins straight to the grouping by core and a
 mark to its shard, so no shard collects a common line's occurrences.
 
+There are so many shards that one takes the entries of about SHARD_BYTES of text, so a task's
+levels are bounded however large the corpus is.
+
 A null text is empty. doc_id names a document: rows that repeat one are the same place and do
 not remove each other; a null doc_id comes before all. An empty table gives an empty result.
+Columns other than doc_id and text are not looked at. Equal strings that start at one place in
+two rows of one doc_id count as one; ties go to the earlier start.
 """
 
 from __future__ import annotations
@@ -49,6 +54,8 @@ BATCHES, HOT = 8, 64
 BINS, BIN = 4, 20
 #: Bytes hashed at a time, and bytes of text whose entries are sorted together.
 BLOCK, BUFFER = 1 << 18, 32 << 20
+#: Bytes of text whose entries (about 48 bytes each, one for forty bytes) a shard holds.
+SHARD_BYTES = 256 << 20
 FIRST = -(2**63)
 ENTRY, COVERED, BINNED, UNDECIDED = 0, 1, 2, 3
 #: Fixed odd multipliers (fractional parts of the golden ratio and of square roots).
@@ -428,8 +435,9 @@ def _removal_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatc
 def removals(docs: DataFrame, batches: int = BATCHES) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256, removed (the runs) of each row of docs."""
     spark = docs.sparkSession
-    n = max(scratch.shuffle_partitions(spark), spark.sparkContext.defaultParallelism)
     texts = docs.select(F.col("doc_id").cast("long"), F.coalesce(F.col("doc_id").cast("long"), F.lit(FIRST)).alias("doc"), F.col("text").cast("binary").alias("text"))
+    total = texts.agg(F.sum(F.length("text"))).first()[0] or 0
+    n = max(scratch.shuffle_partitions(spark), spark.sparkContext.defaultParallelism, -(-total // SHARD_BYTES))
     fences = sorted(set(texts.approxQuantile("doc", [i / batches for i in range(1, batches)], 0.02)))
     number = sum((F.when(F.col("doc") >= int(x), 1).otherwise(0) for x in fences), F.lit(0)).cast("int")
 

@@ -12,7 +12,8 @@ Spark's committers make its files whole or absent in any store, also when execut
 encode_chunk and decode_chunk are independent of it.
 
 Order: ascending doc_id, null doc_ids first, equal ones by text. A null or empty text is just
-the end id. Repeated rows are written as often as they occur. An empty table gives no chunks.
+the end id, a very long one is a chunk of its own. Repeated rows are written as often as they
+occur. An empty table gives no chunks. Columns other than doc_id and text are not looked at.
 """
 
 from __future__ import annotations

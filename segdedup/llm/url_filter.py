@@ -10,7 +10,9 @@ decides alone, so each distinct URL is judged once, however many pages carry it.
 The filter's size is bounded by `max_words`, whatever the list's length; beyond that more
 false positives reach the exact join and the result stays the same. A null URL, or one
 without ://, has empty host and path and fits no rule; URLs without a rule get `default`.
-Repeated rows stay, an empty table gives an empty result.
+Repeated rows stay, very long URLs are judged whole, an empty table gives an empty result. Extra
+columns may have any name: judge() gives page_id, url and its own columns, and rows of `whole`
+pages carry theirs in one struct.
 """
 
 from __future__ import annotations
@@ -80,8 +82,13 @@ def candidates(host: Column, path: Column, lengths: list[int]) -> Column:
     return F.flatten(F.transform(suffixes, lambda s: F.transform(prefixes, lambda p: F.concat(s, p))))
 
 
-def judge(pages: DataFrame, rules: DataFrame, default: str = "allow", max_words: int = MAX_WORDS) -> DataFrame:
-    """pages with host, path, rule and verdict; rules: host, path (from /), verdict."""
+def judge(pages: DataFrame, rules: DataFrame, default: str = "allow", max_words: int = MAX_WORDS, whole: bool = False) -> DataFrame:
+    """page_id, url, host, path, rule and verdict of each page; rules: host, path (from /), verdict.
+
+    whole: carry each page along, as the struct `row`.
+    """
+    carried = [F.struct(*[F.col(f"`{c}`") for c in pages.columns]).alias("row")] if whole else []
+    pages = pages.select("page_id", "url", *carried)
     listed = (
         rules.select(F.concat(F.lower("host"), "path").alias("key"), F.length("host").alias("host_len"), F.length("path").alias("path_len"), F.col("verdict").alias("rule_verdict"))
         .groupBy("key")
