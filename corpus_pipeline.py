@@ -1,12 +1,17 @@
 """From raw documents to packed sequences: quality rules, near-duplicates, personal data, mix, packing.
 
 Each stage takes (spark, docs, sf_dir) and works on all that the one before it kept; all but
-the last return the columns of documents.
+the last return the columns of documents, and any further ones whatever their names.
+
+Null and empty texts fail the quality rules; a null doc_id, lang or source is a value like any
+other (null doc_ids come last in a group of copies, first in packing); very long texts are judged,
+compared, redacted and packed whole; of tied documents that of the smallest doc_id stays; repeated
+rows are one after the second stage; an empty table gives empty stages and no pieces.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from segdedup import scratch
@@ -17,26 +22,24 @@ WEIGHTS, SHARE = [3, 1, 2], 1.5
 
 def good_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the quality rules keep."""
-    return quality_rules.judge(scratch.spread(docs)).where("kept").select(*docs.columns)
+    return quality_rules.accepted(scratch.spread(docs))
 
 
 def one_of_each(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group of near-duplicate texts (5-word Jaccard 0.8 or more, or op9's rule) one row, that
     of the smallest doc_id; of repeated rows one. Different texts of one doc_id, or of none, are apart."""
-    kept = near_copies.one_of_each(docs)
-    first = Window.partitionBy("row_key").orderBy(*[c for c in docs.columns if c not in ("doc_id", "text")])
-    return kept.withColumn("copy_", F.row_number().over(first)).where("copy_ = 1").select(*docs.columns)
+    return near_copies.one_of_each(docs)
 
 
 def without_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Texts with personal data replaced; n_chars follows."""
-    return pii.redact(docs).withColumn("n_chars", F.length("text").cast("long")).select(*docs.columns)
+    """Texts with personal data replaced; n_chars, where there is one, follows."""
+    clean = pii.redact(docs)
+    return clean.withColumn("n_chars", F.length("text").cast("long")) if "n_chars" in docs.columns else clean
 
 
 def mixed_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Each document as often as the mix takes it."""
-    mix = mixing.mix(docs, WEIGHTS, SHARE, keep=docs.columns).where("copies > 0")
-    return mix.withColumn("copy_", F.explode(F.sequence(F.lit(1), F.col("copies")))).select(*docs.columns)
+    return mixing.rows(docs, WEIGHTS, SHARE)
 
 
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -12,12 +12,15 @@ from pyspark.sql import DataFrame, SparkSession
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share: the session's checkpoint folder.
 
-    Only a session without spark.checkpoint.dir (a local test) gets a temporary one.
+    Only a local session without spark.checkpoint.dir (a test) gets a temporary one; on a cluster
+    a folder of one machine would lose rows, so it is refused.
     """
     context = spark.sparkContext
     found = spark.conf.get("spark.checkpoint.dir", None)
     current = context._jsc.sc().getCheckpointDir()
     if current.isEmpty():
+        if not found and not context.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         context.setCheckpointDir(found or tempfile.mkdtemp(prefix="segdedup-"))
         current = context._jsc.sc().getCheckpointDir()
     return found or current.get()
