@@ -65,7 +65,7 @@ def build_bloom(keys: DataFrame, max_words: int = MAX_WORDS) -> list[int]:
 
 def maybe_listed(key: Column, bloom: list[int]) -> Column:
     block, bits = _probes(key, len(bloom) // BLOCK)
-    words = F.lit(bloom)
+    words = F.lit(bloom).cast("array<bigint>")  # a full word is -1, which alone would make ints
     test = None
     for i, bit in bits:
         has = F.call_function("getbit", F.get(words, (block * BLOCK + i).cast("int")), bit.cast("int")) == 1
