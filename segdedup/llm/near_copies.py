@@ -99,12 +99,24 @@ def _node(ids: np.ndarray) -> int:
     return int(np.uint64(xxhash.xxh64_intdigest(ids.tobytes())).view(np.int64)) if len(ids) else 0
 
 
+def sketch(ids: np.ndarray) -> bytes:
+    """Parity of the elements that fall on each of SKETCH bits."""
+    bits = np.bincount((_mix(ids ^ _SPREAD[0]) % np.uint64(SKETCH)).astype(np.int64), minlength=SKETCH) & 1
+    return np.packbits(bits.astype(np.uint8)).tobytes()
+
+
 def _read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        texts = [t.as_py() for t in batch.column(2)]
-        marks = pa.array([simhash.fingerprint(t) for t in texts], pa.int64())
-        nodes = pa.array([_node(shingles(t)) for t in texts], pa.int64())
-        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), marks, nodes], names=["row_key", "doc_id", "mark", "node"])
+        marks, nodes, sizes, sketches = [], [], [], []
+        for cell in batch.column(2):
+            text = cell.as_py()
+            ids = shingles(text)
+            marks.append(simhash.fingerprint(text))
+            nodes.append(_node(ids))
+            sizes.append(len(ids))
+            sketches.append(sketch(ids))
+        columns = [pa.array(marks, pa.int64()), pa.array(nodes, pa.int64()), pa.array(sizes, pa.int64()), pa.array(sketches, pa.binary())]
+        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *columns], names=["row_key", "doc_id", "mark", "node", "n", "sketch"])
 
 
 def _post(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -117,17 +129,10 @@ def _post(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(made).view(np.int64)), pa.array(own)], names=["key", "node"])
 
 
-def sketch(ids: np.ndarray) -> bytes:
-    """Parity of the elements that fall on each of SKETCH bits."""
-    bits = np.bincount((_mix(ids ^ _SPREAD[0]) % np.uint64(SKETCH)).astype(np.int64), minlength=SKETCH) & 1
-    return np.packbits(bits.astype(np.uint8)).tobytes()
-
-
 def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         sets = [shingles(t.as_py()) for t in batch.column(0)]
-        columns = [pa.array(list(map(_node, sets)), pa.int64()), pa.array([s.tobytes() for s in sets], pa.binary()), pa.array(list(map(len, sets)), pa.int64()), pa.array(list(map(sketch, sets)), pa.binary())]
-        yield pa.RecordBatch.from_arrays(columns, names=["node", "ids", "n", "sketch"])
+        yield pa.RecordBatch.from_arrays([pa.array(list(map(_node, sets)), pa.int64()), pa.array([s.tobytes() for s in sets], pa.binary())], names=["node", "ids"])
 
 
 def _groups(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -184,7 +189,8 @@ def _able(n: np.ndarray, marks: np.ndarray, label: np.ndarray, other: slice, own
         far = np.zeros(total.shape, dtype=np.int64)
         for k in range(marks.shape[1]):
             far += np.bitwise_count(marks[i, k][:, None] ^ marks[y, k][None, :])
-        good = (label[i][:, None] != label[y][None, :]) & (9 * far <= total)
+        sized = (n[i][:, None] * DEN >= n[y][None, :] * NUM) & (n[y][None, :] * DEN >= n[i][:, None] * NUM)
+        good = (label[i][:, None] != label[y][None, :]) & (9 * far <= total) & sized
         a, b = np.nonzero(good)
         out.append((i[a], y[b]))
     return tuple(np.concatenate(c) if out else np.zeros(0, dtype=np.int64) for c in (zip(*out, strict=True) if out else [(), ()]))
@@ -235,6 +241,16 @@ def _block_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     yield out()
 
 
+def _plausible(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """u, v, their sizes and sketches come in; the pairs that may be links go out."""
+    for batch in batches:
+        x, y = (np.frombuffer(b"".join(batch.column(c).to_pylist()), dtype="<u8").reshape(len(batch), SKETCH // 64) for c in ("u_sketch", "v_sketch"))
+        far = np.bitwise_count(x ^ y).sum(axis=1, dtype=np.int64)
+        n, m = batch.column("u_n").to_numpy(), batch.column("v_n").to_numpy()
+        good = (9 * far <= n + m) & (n * DEN >= m * NUM) & (m * DEN >= n * NUM)
+        yield batch.select(["u", "v"]).filter(pa.array(good))
+
+
 def _confirm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         good = []
@@ -248,9 +264,9 @@ def _confirm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def read(docs: DataFrame) -> DataFrame:
-    """row_key, doc_id, mark (SimHash), node (hash of the shingle set, 0 if empty); written."""
+    """row_key, doc_id, mark (SimHash), node (hash of the shingle set, 0 if empty), n, sketch; written."""
     rows = docs.select(row_key(), F.col("doc_id").cast("long").alias("doc_id"), "text")
-    return scratch.written(rows.mapInArrow(_read, "row_key string, doc_id long, mark long, node long"), "near-rows")
+    return scratch.written(rows.mapInArrow(_read, "row_key string, doc_id long, mark long, node long, n long, sketch binary"), "near-rows")
 
 
 def row_key():
@@ -272,7 +288,7 @@ def _wanted(docs: DataFrame, rows: DataFrame, nodes: DataFrame) -> DataFrame:
     first = rows.where("node <> 0").groupBy("node").agg(F.min("row_key").alias("row_key"))
     one = first.join(nodes.distinct(), "node", "left_semi").select("row_key")
     texts = docs.select(row_key(), "text").join(one, "row_key", "left_semi").dropDuplicates(["row_key"])
-    return scratch.written(texts.select("text").mapInArrow(_sets, "node long, ids binary, n long, sketch binary"), "near-sets")
+    return scratch.written(texts.select("text").mapInArrow(_sets, "node long, ids binary"), "near-sets")
 
 
 def _across(open_: DataFrame, sets: DataFrame) -> DataFrame:
@@ -293,28 +309,32 @@ def links(docs: DataFrame, rows: DataFrame) -> DataFrame:
     groups = _candidates(docs)
     scratch.release(spark)
     flat = groups.select("gid", F.explode("nodes").alias("node"))
-    sets = _wanted(docs, rows, flat.select("node"))
-    scratch.release(spark)
+    nodes = scratch.written(rows.where("node <> 0").select("node", "n", "sketch").dropDuplicates(["node"]), "near-nodes")
 
     def confirmed(pairs: DataFrame) -> DataFrame:
+        """Of written pairs those that the whole sets confirm."""
+        sets = _wanted(docs, rows, pairs.select(F.explode(F.array("u", "v")).alias("node")))
         left, right = (sets.select(F.col("node").alias(i), F.col("ids").alias(f"{i}_ids")) for i in "uv")
         both = pairs.join(left, "u").join(right, "v").select("u", "v", "u_ids", "v_ids")
         found = scratch.written(both.mapInArrow(_confirm, "u long, v long"), "near-links")
         del left, right, both
+        scratch.drop(sets)
         scratch.release(spark)
         return found
 
     stars = groups.select(F.element_at("nodes", 1).alias("u"), F.explode("nodes").alias("v")).where("u <> v").distinct()
-    stars = scratch.written(stars, "near-stars")
+    left, right = (nodes.select(F.col("node").alias(i), F.col("n").alias(f"{i}_n"), F.col("sketch").alias(f"{i}_sketch")) for i in "uv")
+    stars = scratch.written(stars.join(left, "u").join(right, "v").mapInArrow(_plausible, "u long, v long"), "near-stars")
+    scratch.release(spark)
     sure = confirmed(stars)
     joined = components.components(sure)
     named = flat.join(joined, "node", "left").select("gid", "node", F.coalesce("component", "node").alias("label"))
     named = scratch.written(named, "near-named")
     mixed = named.groupBy("gid").agg(F.min("label").alias("a"), F.max("label").alias("b")).where("a <> b").select("gid")
     open_ = scratch.written(named.join(mixed, "gid", "left_semi"), "near-open")
-    rest = scratch.written(_across(open_, sets), "near-rest")
-    late = confirmed(rest.join(stars, ["u", "v"], "left_anti"))
-    scratch.drop(sets)
+    rest = scratch.written(_across(open_, nodes).join(stars, ["u", "v"], "left_anti"), "near-rest")
+    late = confirmed(rest)
+    scratch.drop(groups, named, open_, nodes)
     return sure.union(late)
 
 
