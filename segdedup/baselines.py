@@ -8,6 +8,10 @@ from pyspark.sql import functions as F
 from segdedup import components, costmodel, keys, scratch, screen, similarity
 
 
+#: Bytes of a (band, key) entry of a hash table in memory: two words, a pointer, the table's slack.
+ENTRY_BYTES = 100
+
+
 def snapshot_rebuild(docs: DataFrame, band_keys: DataFrame, releases: int) -> DataFrame:
     """Rebuilds all state at each release: release_no, touches (keys read), n_final."""
     decided = screen.bulk(docs, band_keys)
@@ -38,6 +42,48 @@ def bloom_fpr(stream: DataFrame, n0: int, fp: float, steps: list[int], holdout:
     return hits.join(grown, "step").select("step", "n_inserted", "fp", "holdout")
 
 
+def bloom_decisions(internal: DataFrame, fp: float, share: int = 4) -> DataFrame:
+    """doc_id of the documents that a Bloom filter per band would call known: all bits of one of its keys
+    were set by earlier releases. Each filter is made for a `share`th of its band's keys.
+
+    A bit counts from the first release that sets it, so one pass answers for all releases.
+    """
+    n = internal.select("band", "key").distinct().count()
+    bands = internal.select("band").distinct().count() or 1
+    positions = bloom_positions(internal, max(1, n // (share * bands)), fp)
+    first = positions.groupBy("band", "bit").agg(F.min("release_no").alias("set_at"))
+    held = positions.join(first, ["band", "bit"]).groupBy("release_no", "doc_id", "band").agg(F.max("set_at").alias("all_set"))
+    return held.where("all_set < release_no").select("doc_id").distinct()
+
+
+def resident_decisions(docs: DataFrame, band_keys: DataFrame, cap_bytes: int) -> DataFrame:
+    """doc_id, kept, bytes, stopped: one process takes the documents in order and keeps every band key of
+    those it keeps in memory. It is the baseline's nature to be one task; it ends at the cap, and the
+    documents from there on have no decision (kept is null)."""
+    each = band_keys.groupBy("release_no", "doc_id").agg(F.sort_array(F.collect_list(F.struct("band", "key"))).alias("own"))
+    rows = docs.select("release_no", "doc_id").join(each, ["release_no", "doc_id"], "left").select("release_no", "doc_id", F.coalesce("own", F.array().cast("array<struct<band: int, key: bigint>>")).alias("own"))
+
+    def run(batches):
+        import pyarrow as pa
+
+        seen, used, stopped = set(), 0, False
+        for batch in batches:
+            kept, size, over = [], [], []
+            for own in batch.column("own").to_pylist():
+                mine = {(k["band"], k["key"]) for k in own}
+                known = bool(mine & seen)
+                if not known and not stopped:
+                    used += ENTRY_BYTES * len(mine)
+                    seen |= mine
+                stopped = stopped or used > cap_bytes
+                kept.append(None if stopped else not known)
+                size.append(used)
+                over.append(stopped)
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(kept, pa.bool_()), pa.array(size, pa.int64()), pa.array(over, pa.bool_())], names=["doc_id", "kept", "bytes", "stopped"])
+
+    return rows.repartition(1).sortWithinPartitions("release_no", "doc_id").mapInArrow(run, "doc_id long, kept boolean, bytes long, stopped boolean")
+
+
 def served_topk(docs: DataFrame, config, top_k: int = 1, least: float = 0.5) -> DataFrame:
     """Each document's best earlier candidates by the signatures' agreement: doc_id, match_id, est.
 
@@ -84,24 +130,6 @@ def ml_minhash(docs: DataFrame, tables: int = 8, distance: float = 0.3) -> DataF
     return between.union(similarity.star(groups).select("a", "b", F.lit(0.0)))
 
 
-def resident_table(rows: list[tuple[int, list[int]]], policy: str = "greedy", cap_bytes: int | None = None) -> dict:
-    """The classical in-memory table on a bounded fixture: documents in order, insert if new."""
-    seen: set[tuple[int, int]] = set()
-    kept, used, stopped = [], 0, None
-    for n, (doc, own) in enumerate(rows):
-        banded = set(enumerate(own))
-        hit = bool(banded & seen)
-        if not hit:
-            kept.append(doc)
-        if not hit or policy == "all":
-            used += 100 * len(banded - seen)
-            seen |= banded
-        if cap_bytes and used > cap_bytes:
-            stopped = n
-            break
-    return {"kept": kept, "bytes": used, "stopped_at": stopped}
-
-
 def graph_bytes(n: int, m: int = 128, bits: int = 4096) -> int:
     """Signature and two-way links of each vector."""
     return n * (bits // 8 + 2 * m * 4)

@@ -13,7 +13,9 @@ PRIME = 2**31 - 1
 @dataclass(frozen=True)
 class DedupConfig:
     """normalise: ascii (lower A-Z, ASCII white space collapsed) or none; k words a shingle; p
-    signature positions in B bands; family portable31 (same values in any SQL engine) or xx64."""
+    signature positions in B bands; family portable31 (same values in any SQL engine) or xx64.
+    A band's keys fall into 2^shard_bits ranges, each a row of a segment (for 5e9 keys a band, 16
+    bits make rows of 600 KB); a segment has `buckets` files."""
 
     normalise: str = "ascii"
     k: int = 5
@@ -22,7 +24,8 @@ class DedupConfig:
     family: str = "xx64"
     key_bits: int = 64
     fanout: int = 4
-    shards: int = 4
+    shard_bits: int = 4
+    buckets: int = 4
     seed: int = 7
 
     def __post_init__(self):

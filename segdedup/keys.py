@@ -51,8 +51,10 @@ class Signer:
 
     def signature(self, text: str | None) -> np.ndarray | None:
         base = base_hashes(shingle_set(text, self.config), self.config.family)
-        if not len(base):
-            return None
+        return self.sign(base) if len(base) else None
+
+    def sign(self, base: np.ndarray) -> np.ndarray:
+        """The least image of the shingles' hashes at each position."""
         least = None
         for at in range(0, len(base), 4096):
             part = base[at : at + 4096, None]
@@ -104,6 +106,18 @@ def long_keys(docs: DataFrame, config: DedupConfig) -> DataFrame:
     return keyed.select(*[c for c in keyed.columns if c != "keys"], F.posexplode("keys").alias("band", "key"))
 
 
+def keys_of_sets(sets: DataFrame, config: DedupConfig) -> DataFrame:
+    """id, band, key of shingle sets given as such: id long, ids array of strings, none empty."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        signer = Signer(config)
+        for batch in batches:
+            found = [signer.keys(signer.sign(base_hashes({s.encode() for s in ids}, config.family))) for ids in batch.column("ids").to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(found, pa.list_(pa.int64()))], names=["id", "keys"])
+
+    return sets.select("id", "ids").mapInArrow(run, "id long, keys array<long>").select("id", F.posexplode("keys").alias("band", "key"))
+
+
 def exact_dedup(docs: DataFrame) -> DataFrame:
     """The row of the smallest doc_id of each text."""
     least = docs.groupBy(F.sha2("text", 256).alias("h")).agg(F.min("doc_id").alias("doc_id"))

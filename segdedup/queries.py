@@ -5,9 +5,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from segdedup import baselines, costmodel, keys, policies, releases, scratch, screen, similarity
-from segdedup.config import PORTABLE, PRIME
-from segdedup.index import Index, ingest_all
+from segdedup import baselines, costmodel, keys, policies, releases, scratch, screen, segments, similarity
+from segdedup.config import PORTABLE, PRIME, DedupConfig
+from segdedup.index import Index, Prepared, ingest_all
 
 C = PORTABLE
 QUERIES: dict = {}
@@ -237,8 +237,8 @@ def bulk_ingest(spark, d):
     return screen.bulk(*_docs(spark, d))
 
 
-def _index(spark, policy=None) -> Index:
-    return Index(spark, scratch.new_path(spark, "index"), C, policy)
+def _index(spark, policy=None, config=C) -> Index:
+    return Index(spark, scratch.new_path(spark, "index"), config, policy)
 
 
 def _six(docs: DataFrame) -> DataFrame:
@@ -248,6 +248,25 @@ def _six(docs: DataFrame) -> DataFrame:
 _SIX = decided("r6", "(select *, (doc_id % 6)::int as r6 from base)")
 
 
+def _committed(index: Index, ready: Prepared, k: int, protected: frozenset[int] = frozenset()) -> Index:
+    """Commits and compacts prepared releases 0 to k - 1, without decisions."""
+    for r in range(k):
+        index.admit(ready, r, f"r{r}", protected=r in protected, decide=False)
+    return index
+
+
+def _members(origins: str):
+    """The least release number of a segment's origins."""
+    return F.array_min(F.transform(origins, lambda t: F.substring(t, F.lit(2), F.lit(9)).cast("int")))
+
+
+@query(f"with {decided()} select release_no, doc_id, status from dec")
+def ingest_documents_k40(spark, d):
+    """Forty releases one after the other through the manifest, fanout 4: the decisions of the bulk form."""
+    docs = releases.documents(spark, d, 40)
+    return ingest_all(_index(spark, policies.Tiered(4)), docs, list(range(40)))
+
+
 @query(f"with {_SIX} select release_no, doc_id, status from dec")
 def ingest_documents_sequential(spark, d):
     """The manifest-driven run over six releases; its decisions are those of the bulk form."""
@@ -255,16 +274,47 @@ def ingest_documents_sequential(spark, d):
     return ingest_all(_index(spark, policies.Tiered(2)), docs, list(range(6)))
 
 
+@query(f"with {_SIX} select s as strategy, release_no, count(*) filter (status = 'kept')::bigint as n_final, count(*) filter (status = 'removed_history')::bigint as n_history from dec, (values ('seek'), ('merge'), ('broadcast')) v(s) group by all")
+def screen_strategies_agree(spark, d):
+    """Search in sorted shards, a join of unpacked keys, and a broadcast release: equal decisions."""
+    docs = _six(scratch.table(spark, d, "documents").select("doc_id", "text"))
+    out = None
+    for strategy in ("seek", "merge", "broadcast"):
+        got = ingest_all(_index(spark, policies.Tiered(2)), docs, list(range(6)), strategy)
+        part = got.groupBy("release_no").agg(F.count(F.when(F.col("status") == "kept", 1)).alias("n_final"), F.count(F.when(F.col("status") == "removed_history", 1)).alias("n_history"))
+        part = part.select(F.lit(strategy).alias("strategy"), "release_no", "n_final", "n_history")
+        out = part if out is None else out.union(part)
+    return out
+
+
 @query(f"with {_SIX} select distinct band, key from ik where release_no <> 2")
 def withdraw_index_keys(spark, d):
     """The index after six releases at fanout 2 and the withdrawal of a merged one."""
     docs = _six(scratch.table(spark, d, "documents").select("doc_id", "text"))
     index = _index(spark, policies.Tiered(2))
-    ingest_all(index, docs, list(range(6)))
+    _committed(index, index.prepare(docs), 6)
     index.withdraw("r2")
     return index.all_keys().select("band", "key").distinct()
 
 
+_AT = "(values (16, 4, 0, 15), (17, 1, 16, 17), (18, 0, 18, 18), (19, 0, 19, 19)) g(e, level, lo, hi)"
+
+
+@query(f"with {decided('r20')}, own as (select band, key, min(release_no) as r from ik group by band, key having count(distinct release_no) = 1), v as (select * from (values (3), (16), (18), (19)) x(r)) select 'r' || v.r as tag, g.level::int as level, (select count(*) from (select distinct band, key from ik where release_no between g.lo and g.hi))::bigint as affected_keys, (g.lo < g.hi) as rebuilt, (select count(*) from own where own.r = v.r)::bigint as exclusive_before, 0::bigint as exclusive_left from v join {_AT} on v.r between g.lo and g.hi")
+def withdraw_by_level(spark, d):
+    """Twenty releases at fanout 2 make segments of levels 4, 1, 0 and the newest: a victim of each is
+    withdrawn from the real index, its exclusive keys are looked up there, and the index is rolled back."""
+    index = _index(spark, policies.Tiered(2))
+    _committed(index, index.prepare(releases.documents(spark, d, 20)), 20)
+    before, rows = index.read(), []
+    for r in (3, 16, 18, 19):
+        done = index.withdraw(f"r{r}")
+        own, left = index.exclusive_left(f"r{r}", before)
+        rows.append((f"r{r}", done["level"], done["affected_keys"], done["rebuilt"], own, left))
+        index.rollback(before["snapshot"])
+    return spark.createDataFrame(rows, "tag string, level int, affected_keys long, rebuilt boolean, exclusive_before long, exclusive_left long")
+
+
 @query(f"with {decided()} select release_no, band, count(distinct key)::bigint as n_keys from ik group by release_no, band")
 def commit_segment_sizes(spark, d):
     return screen.internal_keys(_docs(spark, d)[1]).groupBy("release_no", "band").agg(F.countDistinct("key").alias("n_keys"))
@@ -273,25 +323,39 @@ def commit_segment_sizes(spark, d):
 _DIGITS = "(values (32, 0, 15, 2), (32, 16, 31, 2), (36, 32, 35, 1), (37, 36, 36, 0), (38, 37, 37, 0), (39, 38, 38, 0), (40, 39, 39, 0)) g(e, lo, hi, level)"
 
 
-@query(f"with {decided()} select band, level::int as level, lo::int as first_release, count(*)::bigint as n_keys, bit_xor(key) as digest from (select distinct band, level, lo, key from ik join {_DIGITS} on release_no between lo and hi) group by band, level, lo")
+@query(f"with {decided()} select level::int as level, lo::int as first_release, band, count(*)::bigint as n_keys, bit_xor(key) as digest from (select distinct band, level, lo, key from ik join {_DIGITS} on release_no between lo and hi) group by band, level, lo")
 def compacted_union_keys(spark, d):
-    """Segments after 40 releases at fanout 4: unions of their members, whatever the order of merges."""
-    live = policies.run(policies.Tiered(4), 40)["live"]
-    rows = [(int(t[1:]), s.level, min(int(x[1:]) for x in s.origins)) for s in live for t in s.origins]
-    of = spark.createDataFrame(rows, "release_no int, level int, first_release int")
-    ik = screen.internal_keys(_docs(spark, d)[1]).join(F.broadcast(of), "release_no").select("band", "level", "first_release", "key").distinct()
-    return ik.groupBy("band", "level", "first_release").agg(F.count(F.lit(1)).alias("n_keys"), F.bit_xor("key").alias("digest"))
-
-
-@query(f"with {decided()}, one as (select band, key, min(release_no) as r from ik group by band, key having count(distinct release_no) = 1) select r::int as release_no, count(*)::bigint as exclusive_before, 0::bigint as left_after from one group by r")
+    """The live segments after 40 committed releases at fanout 4, read back: unions of their members."""
+    index = _index(spark, policies.Tiered(4))
+    _committed(index, index.prepare(releases.documents(spark, d, 40)), 40)
+    out = None
+    for r in index.live():
+        first = min(int(t[1:]) for t in r["origins"])
+        part = segments.unpacked(index.segment(r)).select(F.lit(r["level"]).alias("level"), F.lit(first).alias("first_release"), "band", "key")
+        out = part if out is None else out.union(part)
+    return out.groupBy("level", "first_release", "band").agg(F.count(F.lit(1)).alias("n_keys"), F.bit_xor("key").alias("digest"))
+
+
+@query(f"with {decided()} select level::int as level, lo::int as first_release, (hi - lo + 1)::int as members, count(*)::bigint as n_keys from (select distinct band, level, lo, hi, key from ik join {_DIGITS} on release_no between lo and hi) group by level, lo, hi")
+def compaction_manifest(spark, d):
+    """What the manifest says of the same segments."""
+    index = _index(spark, policies.Tiered(4))
+    _committed(index, index.prepare(releases.documents(spark, d, 40)), 40)
+    return index.describe().where("live").select("level", _members("origins").alias("first_release"), F.size("origins").alias("members"), "n_keys")
+
+
+@query(f"with {_SIX}, one as (select band, key, min(release_no) as r from ik group by band, key having count(distinct release_no) = 1) select r::int as release_no, count(*)::bigint as exclusive_before, 0::bigint as left_after from one group by r")
 def victim_exclusive_left(spark, d):
-    """Each release as victim: keys that are its own, and how many the rebuilt index still has."""
-    ik = screen.internal_keys(_docs(spark, d)[1])
-    owners = ik.groupBy("band", "key").agg(F.min("release_no").alias("release_no"), F.countDistinct("release_no").alias("owners"))
-    own = owners.where("owners = 1")
-    others = ik.select("band", "key", F.col("release_no").alias("other"))
-    left = own.join(others, ["band", "key"]).where("other <> release_no").groupBy("release_no").agg(F.count(F.lit(1)).alias("left_after"))
-    return own.groupBy("release_no").agg(F.count(F.lit(1)).alias("exclusive_before")).join(left, "release_no", "left").fillna(0)
+    """Each of six releases withdrawn from the index in turn: its exclusive keys, and those still found there."""
+    docs = _six(scratch.table(spark, d, "documents").select("doc_id", "text"))
+    index = _index(spark, policies.Tiered(2))
+    _committed(index, index.prepare(docs), 6)
+    before, rows = index.read(), []
+    for r in range(6):
+        index.withdraw(f"r{r}")
+        rows.append((r, *index.exclusive_left(f"r{r}", before)))
+        index.rollback(before["snapshot"])
+    return spark.createDataFrame(rows, "release_no int, exclusive_before long, left_after long")
 
 
 @query(f"with {decided()}, fs2 as (select band, key, min(release_no) as f from ik where release_no <> 2 group by band, key), h2 as (select distinct doc_id from ik join fs2 using (band, key) where f < release_no) select doc_id from dec where status = 'removed_history' and doc_id not in (select doc_id from h2)")
@@ -318,10 +382,15 @@ def commit_final_ablation(spark, d):
     return lost.groupBy("release_no").agg(F.count(F.lit(1)).alias("missing_keys")).select(F.lit("final").alias("policy"), "release_no", "missing_keys")
 
 
-@query("select p::int as n_protected, ((39 - p) % 4 + ((39 - p) // 4) % 4 + ((39 - p) // 16) % 4 + 1 + p)::bigint as live_segments from (values (0), (1), (3)) t(p)")
+@query("select p::int as n_protected, ((11 - p) % 4 + (11 - p) // 4 % 4 + 1 + p)::bigint as live_segments from (values (0), (1), (3)) t(p)")
 def protected_fanout(spark, d):
-    """Live segments after 40 releases at fanout 4 with some protected."""
-    rows = [(n, len(policies.run(policies.Tiered(4), 40, protected=frozenset(range(n)))["live"])) for n in (0, 1, 3)]
+    """Live segments after 12 committed releases of keys at fanout 4, some of them protected."""
+    stream = _stream(spark, d, 12)
+    rows = []
+    for n in (0, 1, 3):
+        index = _index(spark, policies.Tiered(4), STREAM)
+        ready = index.prepare_keys(stream)
+        rows.append((n, len(_committed(index, ready, 12, frozenset(range(n))).live())))
     return spark.createDataFrame(rows, "n_protected int, live_segments long")
 
 
@@ -375,6 +444,16 @@ def keystream_lineitem(spark, d):
     return ks.groupBy("release_no").agg(F.count(F.lit(1)).alias("n"), F.count(F.when(F.col("pooled"), 1)).alias("n_pooled"), F.countDistinct("key").alias("n_distinct"))
 
 
+#: The index of the key stream: one band of 60-bit keys.
+STREAM = DedupConfig(p=4, bands=1, family="portable31", shard_bits=4, buckets=4)
+
+
+def _stream(spark, d, k: int) -> DataFrame:
+    """release_no, doc_id, band, key of the stream over k releases."""
+    found = releases.key_stream(spark, d, k).select("release_no", F.col("rid").alias("doc_id"), "band", "key")
+    return scratch.written(found, "stream")
+
+
 def _bloom_sql(fp: float) -> str:
     bits, k = costmodel.bloom_bits(3000, fp)
     pos = f"(('0x' || substr(md5(key::varchar), 1, 8))::bigint + i * (('0x' || substr(md5(key::varchar), 9, 8))::bigint + 1)) % {bits}"
@@ -436,6 +515,72 @@ def bloom_fpr_quarter_strict(spark, d):
     return _bloom_quarter(spark, d, 0.001)
 
 
+def _bloom_decisions_sql(fp: float) -> str:
+    """CTEs ending in bd (doc_id): documents that filters made for a quarter of each band's keys call known."""
+    k = costmodel.bloom_bits(1_000_000, fp)[1]
+    pos = "(('0x' || substr(md5(key::varchar), 1, 8))::bigint + i * (('0x' || substr(md5(key::varchar), 9, 8))::bigint + 1)) % bits"
+    return f"""cap as (select ceil(-n0 * ln({fp}) / (ln(2) * ln(2)))::bigint as bits from (select greatest(1, count(*) // {4 * C.bands}) as n0 from (select distinct band, key from ik))),
+pk as (select release_no, doc_id, band, key, {pos} as bit from ik, cap, range(0, {k}) g(i)),
+bt as (select band, bit, min(release_no) as set_at from pk group by all),
+bh as (select release_no, doc_id, band, max(set_at) as all_set from pk join bt using (band, bit) group by all),
+bd as (select distinct doc_id from bh where all_set < release_no)"""
+
+
+@query(f"with {decided()}, {_bloom_decisions_sql(0.01)} select b.doc_id, (case when l.doc_id is not null then 'removed_within' when bd.doc_id is not null then 'removed_history' else 'kept' end) as status from base b left join lost l using (doc_id) left join bd using (doc_id)")
+def bloom_decisions(spark, d):
+    """Decisions on all documents if a Bloom filter per band, made for a quarter of its keys, held the history."""
+    docs, k = _docs(spark, d)
+    known = baselines.bloom_decisions(screen.internal_keys(k), 0.01).withColumn("hit", F.lit(True))
+    within = screen.within_release(k).select("doc_id", F.lit(True).alias("lost"))
+    status = F.when(F.col("lost"), "removed_within").when(F.col("hit"), "removed_history").otherwise("kept")
+    return docs.select("doc_id").join(within, "doc_id", "left").join(known, "doc_id", "left").select("doc_id", status.alias("status"))
+
+
+@query(f"with {decided()}, {_bloom_decisions_sql(0.01)}, truth as (select doc_id, status <> 'kept' as gone from dec), sys as (select 'segmented_index' as system, doc_id, gone as flag from truth union all select 'bloom_bands', t.doc_id, (bd.doc_id is not null or l.doc_id is not null) from truth t left join bd using (doc_id) left join lost l using (doc_id)) select system, count(*)::bigint as n, count(*) filter (flag and not gone)::bigint as fp, count(*) filter (not flag and gone)::bigint as fn from sys join truth using (doc_id) group by system")
+def fidelity_vs_oracle(spark, d):
+    """False positives and negatives of systems against the exact decisions: the index by its own segments
+    and manifest, the Bloom bands beyond their capacity."""
+    docs, k = _docs(spark, d)
+    truth = scratch.written(screen.bulk(docs, k).select("doc_id", (F.col("status") != "kept").alias("gone")), "truth")
+    own = ingest_all(_index(spark, policies.Tiered(4)), docs, list(range(40))).select(F.lit("segmented_index").alias("system"), "doc_id", (F.col("status") != "kept").alias("flag"))
+    lost = screen.within_release(k).select("doc_id").union(baselines.bloom_decisions(screen.internal_keys(k), 0.01)).distinct().withColumn("flag", F.lit(True))
+    bloom = docs.select("doc_id").join(lost, "doc_id", "left").select(F.lit("bloom_bands").alias("system"), "doc_id", F.coalesce("flag", F.lit(False)).alias("flag"))
+    both = own.union(bloom).join(truth, "doc_id")
+    count = lambda c: F.count(F.when(c, 1))
+    return both.groupBy("system").agg(F.count(F.lit(1)).alias("n"), count(F.col("flag") & ~F.col("gone")).alias("fp"), count(~F.col("flag") & F.col("gone")).alias("fn"))
+
+
+_NEAR = """,
+st as (select doc_id, list_sort(list(s)) as ids, count(*) as n from sh group by doc_id),
+cut as (select doc_id, ids, n // 19 as q from st where n >= 19),
+lft as (select doc_id, 2 * doc_id as id, ids[1:19 * q] as ids, q from cut),
+rgt as (select doc_id, 2 * doc_id + 1 as id, list_concat(ids[1:18 * q], list_transform(range(0, q), lambda i: 'new ' || doc_id || ' ' || i)) as ids, q from cut),
+two as (select id, unnest(ids) as s from lft union all select id, unnest(ids) from rgt)"""
+
+
+@query(f"with {WORDS}{_NEAR}, coef(pos, a, b) as (values {_COEF}), hs as (select id, ('0x' || substr(md5(s), 1, 8))::bigint % {PRIME} as h from two), sig as (select id, pos, min((a::bigint * h + b) % {PRIME})::bigint as v from hs cross join coef group by id, pos), dk as (select id, (pos // {C.rows})::int as band, md5(string_agg(v::varchar, ',' order by pos)) as key from sig group by id, pos // {C.rows}), hit as (select distinct x.id // 2 as doc_id from dk x join dk y on x.band = y.band and x.key = y.key and x.id + 1 = y.id and x.id % 2 = 0) select 0.9::double as j, count(*)::bigint as pairs, count(hit.doc_id)::bigint as found, round({costmodel.lsh_probability(0.9, C.bands, C.rows)!r}, 6)::double as expected from cut left join hit using (doc_id)")
+def controlled_similarity(spark, d):
+    """Pairs of Jaccard 0.9 exactly (18q of 19q shingles shared, q new ones) made from each document of 19
+    shingles or more: how many share a band key, beside the closed form."""
+    sets = _shingles(spark, d).groupBy("doc_id").agg(F.sort_array(F.collect_list("s")).alias("ids")).where(F.size("ids") >= 19)
+    q = F.expr("int(size(ids) div 19)")
+    new = F.transform(F.sequence(F.lit(0), F.col("q") - 1), lambda i: F.concat(F.lit("new "), F.col("doc_id").cast("string"), F.lit(" "), i.cast("string")))
+    cut = sets.withColumn("q", q)
+    left = cut.select((2 * F.col("doc_id")).alias("id"), F.slice("ids", F.lit(1), 19 * F.col("q")).alias("ids"))
+    right = cut.select((2 * F.col("doc_id") + 1).alias("id"), F.concat(F.slice("ids", F.lit(1), 18 * F.col("q")), new).alias("ids"))
+    band = scratch.written(keys.keys_of_sets(left.union(right), C), "near-keys")
+    met = band.where("id % 2 = 0").withColumn("doc_id", F.expr("id div 2")).join(band.where("id % 2 = 1").withColumn("doc_id", F.expr("id div 2")).drop("id"), ["doc_id", "band", "key"]).select("doc_id").distinct().withColumn("hit", F.lit(1))
+    pairs = band.select(F.expr("id div 2").alias("doc_id")).distinct().join(met, "doc_id", "left")
+    return pairs.agg(F.count(F.lit(1)).alias("pairs"), F.count("hit").alias("found")).select(F.lit(0.9).alias("j"), "pairs", "found", F.lit(round(costmodel.lsh_probability(0.9, C.bands, C.rows), 6)).alias("expected"))
+
+
+@query()
+def resident_table_decisions(spark, d):
+    """The classical in-memory table over the releases in order: doc_id, kept, bytes so far, stopped at the cap."""
+    docs, k = _docs(spark, d)
+    return baselines.resident_decisions(docs, k, cap_bytes=1 << 30)
+
+
 @query("with q as (select vec_id, embedding from embeddings where vec_id % 100 = 0), s as (select q.vec_id as q, e.vec_id, round(list_cosine_similarity(q.embedding::double[], e.embedding::double[]), 6) as c from q cross join embeddings e where e.vec_id <> q.vec_id), r as (select *, row_number() over (partition by q order by c desc, vec_id) as rank from s) select q, rank::int as rank, vec_id from r where rank <= 10")
 def knn_exact(spark, d):
     """Ten nearest by cosine; the queries are one vector in a hundred, against all."""
@@ -457,31 +602,65 @@ def removal_rate_by_release(spark, d):
     return screen.bulk(*_docs(spark, d)).groupBy("release_no").agg(n.alias("n_in"), F.count(F.when(F.col("status") != "removed_within", 1)).alias("n_internal"), kept.alias("n_final"), F.round(1 - kept / n, 6).alias("removal_rate"))
 
 
-def _counters_sql(select: str) -> str:
-    return f"with t as (select t::int as fanout, 39 as n from (values (2), (3), (4), (8), (16)) v(t)), lv as (select fanout, n, l, pow(fanout, l)::bigint as u from t, range(0, 6) g(l)), c as (select fanout, (sum((n // u) % fanout) + 1)::bigint as live_segments, sum(case when l > 0 then u * (n // u) else 0 end)::bigint as rewritten from lv group by fanout) select {select} from c"
+def _merged_sql(t: int, k: int) -> str:
+    """Keys written by the merges of k releases at fanout t, each level a union of t^level releases."""
+    parts, n, level = [], k - 1, 1
+    while t**level <= n:
+        parts.append(f"(select count(*) from (select distinct release_no // {t**level}, key from ks where release_no < {t**level * (n // t**level)}))")
+        level += 1
+    return " + ".join(parts) or "0"
+
+
+def _live_sql(t: int, k: int) -> tuple[int, str]:
+    """Number of live segments and the keys in them after k releases."""
+    n, lo, segs = k - 1, 0, []
+    level = 0
+    while t ** (level + 1) <= n:
+        level += 1
+    for at in range(level, -1, -1):
+        for _ in range((n - lo) // t**at):
+            segs.append((lo, lo + t**at - 1))
+            lo += t**at
+    segs.append((k - 1, k - 1))
+    return len(segs), " + ".join(f"(select count(distinct key) from ks where release_no between {a} and {b})" for a, b in segs)
 
 
-@query(_counters_sql("fanout, live_segments, rewritten, round(rewritten / 40, 6)::double as amplification"))
+_AMPLIFIED = " union all ".join(f"select {t} as fanout, ingested, ({_merged_sql(t, 40)})::bigint as rewritten, {_live_sql(t, 40)[0]}::bigint as live_segments, ({_live_sql(t, 40)[1]})::bigint as live_keys from n" for t in (2, 4, 16))
+
+
+@query(f"with {_STREAM}, n as (select count(*)::bigint as ingested from (select distinct release_no, key from ks)), w as ({_AMPLIFIED}) select fanout::int as fanout, ingested, rewritten, round(rewritten / ingested, 6)::double as amplification, live_segments, live_keys from w")
 def write_amplification(spark, d):
-    """40 equal releases without common keys, by simulation of the planner; the SQL has the closed form."""
-    rows = []
-    for t in (2, 3, 4, 8, 16):
-        r = policies.run(policies.Tiered(t), 40)
-        rows.append((t, len(r["live"]), r["written"], round(r["amplification"], 6)))
-    return spark.createDataFrame(rows, "fanout int, live_segments long, rewritten long, amplification double")
+    """Forty releases of the key stream committed and merged at three fanouts; counts from the manifest's runs."""
+    stream, rows = _stream(spark, d, 40), []
+    for t in (2, 4, 16):
+        index = _index(spark, policies.Tiered(t), STREAM)
+        _committed(index, index.prepare_keys(stream), 40)
+        runs = index.read()["runs"]
+        ingested, again = (sum(r["written"] for r in runs if r["kind"] == kind) for kind in ("admit", "compact"))
+        rows.append((t, ingested, again, round(again / ingested, 6), len(index.live()), sum(r["n_keys"] for r in index.live())))
+    return spark.createDataFrame(rows, "fanout int, ingested long, rewritten long, amplification double, live_segments long, live_keys long")
 
 
 @query("with g as (select k::bigint as k from range(2, 41) g(k)) select k::int as release_no, (case when k = 2 then 1 else (k - 2) % 4 + ((k - 2) // 4) % 4 + ((k - 2) // 16) % 4 + 1 end)::bigint as fanout from g union all select 1, 0")
 def fanout_by_release(spark, d):
-    got = policies.run(policies.Tiered(4), 40)["fanout"]
-    return spark.createDataFrame([(i + 1, n) for i, n in enumerate(got)], "release_no int, fanout long")
+    """Segments that each release of the key stream was to be searched in, as the manifest recorded them."""
+    index = _index(spark, policies.Tiered(4), STREAM)
+    _committed(index, index.prepare_keys(_stream(spark, d, 40)), 40)
+    admitted = index.runs().where("kind = 'admit'")
+    return admitted.select((F.substring("tag", 2, 9).cast("int") + 1).alias("release_no"), F.col("fanout").cast("long"))
 
 
 @query(f"with {decided()}, n as (select count(*) as docs from documents), k as (select count(*) as n from (select distinct release_no, band, key from ik)) select kind, (k.n * 8 * f)::bigint as bytes, docs::bigint as docs, round(k.n * 8 * f / docs, 6)::double as bytes_per_doc from k, n, (values ('index', 1), ('with_sidecar', 2)) v(kind, f)")
 def bytes_per_doc(spark, d):
-    docs, k = _docs(spark, d)
-    n, m = docs.count(), screen.internal_keys(k).select("release_no", "band", "key").distinct().count()
-    return spark.createDataFrame([(kind, m * 8 * f, n, round(m * 8 * f / n, 6)) for kind, f in (("index", 1), ("with_sidecar", 2))], "kind string, bytes long, docs long, bytes_per_doc double")
+    """Bytes of the packed keys as stored, without and with the sidecars that merges leave beside them."""
+    docs = releases.documents(spark, d, 40)
+    ready = _index(spark).prepare(docs)
+    n, held = docs.count(), None
+    for path in ready.sidecars.values():
+        part = segments.load(spark, path, C).select(F.length("keys").cast("long").alias("bytes"))
+        held = part if held is None else held.union(part)
+    m = held.agg(F.sum("bytes")).first()[0]
+    return spark.createDataFrame([(kind, m * f, n, round(m * f / n, 6)) for kind, f in (("index", 1), ("with_sidecar", 2))], "kind string, bytes long, docs long, bytes_per_doc double")
 
 
 @query(f"with {decided()}, sh0 as (select (key % 16)::int as shard, count(*)::bigint as n_keys, bit_xor(key) as digest from (select distinct band, key from ik) group by 1) select * from sh0")
@@ -489,16 +668,31 @@ def state_digest(spark, d):
     return screen.internal_keys(_docs(spark, d)[1]).select("band", "key").distinct().groupBy(F.pmod("key", F.lit(16)).cast("int").alias("shard")).agg(F.count(F.lit(1)).alias("n_keys"), F.bit_xor("key").alias("digest"))
 
 
-@query(f"with {_STREAM}, t as (select count(distinct (release_no, key)) as total, count(distinct key) as uniq from ks), f as (select count(distinct (release_no // 4, key)) as total from ks) select 'never' as policy, total::bigint as total_keys, uniq::bigint as distinct_keys, round(1 - uniq / total, 6)::double as dup_share from t union all select 'frozen_cap', f.total::bigint, uniq::bigint, round(1 - uniq / f.total, 6)::double from f, t union all select 'fold_all', uniq::bigint, uniq::bigint, 0.0::double from t")
+_KEPT = " union all ".join(
+    f"select '{name}' as policy, {count} as live_segments, ({keys_})::bigint as total_keys"
+    for name, count, keys_ in (
+        ("tiered", _live_sql(4, 40)[0], _live_sql(4, 40)[1]),
+        ("frozen_cap", 13, "(select count(*) from (select distinct release_no // 4, key from ks where release_no < 36)) + (select count(*) from (select distinct release_no, key from ks where release_no >= 36))"),
+        ("never", 40, "select count(*) from (select distinct release_no, key from ks)"),
+        ("folded", 1, "select count(distinct key) from ks"),
+    )
+)
+
+
+@query(f"with {_STREAM}, k as ({_KEPT}), u as (select count(distinct key)::bigint as distinct_keys from ks) select policy, live_segments::bigint as live_segments, total_keys, distinct_keys, round(1 - distinct_keys / total_keys, 6)::double as dup_share from k, u")
 def frozen_duplicates(spark, d):
-    """Keys kept twice: segments never merged, frozen after one merge of four, folded into one."""
-    ks = releases.key_stream(spark, d).select("release_no", "key")
-    uniq = ks.select("key").distinct().count()
-    rows = []
-    for name, width in (("never", 1), ("frozen_cap", 4), ("fold_all", 40)):
-        total = ks.select(F.floor(F.col("release_no") / width).alias("s"), "key").distinct().count()
-        rows.append((name, total, uniq, round(1 - uniq / total, 6)))
-    return spark.createDataFrame(rows, "policy string, total_keys long, distinct_keys long, dup_share double")
+    """Keys held twice by the segments of four selectors over 40 releases: tiered; frozen once a segment
+    passes twice a release's size; never merged; that, folded into one at the end."""
+    stream, rows = _stream(spark, d, 40), []
+    size = stream.count() // 40
+    for name, policy in (("tiered", policies.Tiered(4)), ("frozen_cap", policies.FrozenCap(2 * size)), ("never", policies.Never()), ("folded", policies.Never())):
+        index = _index(spark, policy, STREAM)
+        _committed(index, index.prepare_keys(stream), 40)
+        if name == "folded":
+            index.fold()
+        total, uniq = sum(r["n_keys"] for r in index.live()), index.union().agg(F.sum("n").cast("long")).first()[0]
+        rows.append((name, len(index.live()), total, uniq, round(1 - uniq / total, 6)))
+    return spark.createDataFrame(rows, "policy string, live_segments long, total_keys long, distinct_keys long, dup_share double")
 
 
 _ALL_PAIRS = ", sz as (select doc_id, count(*) as n from sh group by doc_id), pr as (select x.doc_id as a, y.doc_id as b, count(*)::bigint as inter from sh x join sh y using (s) where x.doc_id < y.doc_id group by all), jac as (select a, b, inter, p.n + q.n - inter as uni from pr join sz p on p.doc_id = a join sz q on q.doc_id = b)"
@@ -533,16 +727,24 @@ def fanout_model(spark, d):
     return spark.createDataFrame([(float(a), float(b)) for a, b in rows], "rho double, best_fanout double")
 
 
-@query(f"with {decided()}, t as (select t::int as t from (values (2), (3), (4), (8), (16)) v(t)) select s::int as s, count(distinct doc_id)::bigint as matches from (select s, ik.doc_id from ik, (values (1), (2), (4), (8)) v(s) where release_no = 39 and exists (select 1 from ik h where h.release_no < 39 and h.band = ik.band and h.key = ik.key)) group by s")
+@query(f"with {_STREAM}, h as (select key, release_no from ks where release_no < 39), a as (select distinct key from ks where release_no = 39) select s::int as s, (select count(*) from a)::bigint as asked, (select count(*) from a where exists (select 1 from h where h.key = a.key))::bigint as matched, (select count(*) from (select distinct release_no % s, key from h))::bigint as held from (values (1), (4), (16), (64)) v(s)")
 def screen_vs_segments(spark, d):
-    """The last release against the same history cut into 1 to 8 segments: equal answers."""
-    ik = scratch.written(screen.internal_keys(_docs(spark, d)[1]), "internal")
-    asked, history, out = ik.where("release_no = 39").select("doc_id", "band", "key"), ik.where("release_no < 39"), None
-    for s in (1, 2, 4, 8):
-        segments = [history.where(F.pmod("release_no", F.lit(s)) == i).select("band", "key").distinct() for i in range(s)]
-        hit = screen.historical(asked, segments).distinct().select(F.lit(s).alias("s"), "doc_id")
-        out = hit if out is None else out.union(hit)
-    return out.groupBy("s").agg(F.count(F.lit(1)).alias("matches"))
+    """The last release searched in the same history cut into 1, 4, 16 and 64 segments: equal answers.
+
+    The history's 39 releases fill at most 39 of 64 segments.
+    """
+    stream = _stream(spark, d, 40)
+    index, rows = _index(spark, policies.Never(), STREAM), []
+    own = index.prepare_keys(stream.where("release_no = 39"))
+    asked = segments.load(spark, own.sidecars[39], STREAM)
+    for s in (1, 4, 16, 64):
+        cut = index.prepare_keys(stream.where("release_no < 39").withColumn("release_no", F.pmod("release_no", F.lit(s)).cast("int")))
+        hits = None
+        for path in cut.sidecars.values():
+            part = segments.probe(asked, segments.load(spark, path, STREAM), "merge")
+            hits = part if hits is None else hits.union(part)
+        rows.append((s, own.n_keys[39], hits.distinct().count(), sum(cut.n_keys.values())))
+    return spark.createDataFrame(rows, "s int, asked long, matched long, held long")
 
 
 # workloads
@@ -591,30 +793,44 @@ def pages_dedup(spark, d):
 
 @query()
 def conversation_dedup(spark, d):
-    """Turns as units, released by conv_id % 10."""
+    """Turns as units, released by conv_id % 10; a unit's identity is (conv_id, turn)."""
     turns = spark.read.parquet(f"{d}/conversations.parquet")
-    units = scratch.spread(turns.select((F.col("conv_id") * 1000 + F.col("turn")).alias("doc_id"), F.pmod("conv_id", F.lit(10)).cast("int").alias("release_no"), "text"))
-    return _dedup_units(units)
+    units = scratch.spread(turns.select(F.struct("conv_id", "turn").alias("doc_id"), F.pmod("conv_id", F.lit(10)).cast("int").alias("release_no"), "text"))
+    return _dedup_units(units).select("doc_id.conv_id", "doc_id.turn", "status")
+
+
+#: Places where an ingestion can be cut off.
+FAULTS = ("keys written", "removed written", "internal written", "sidecar written", "decisions written", "before swap", "swapped", "merged", "before merge swap")
 
 
 @query()
 def retry_digest(spark, d):
-    """A crash before the swap and a retry leave the state of an undisturbed run."""
-    docs = scratch.table(spark, d, "documents").select("doc_id", "text")
-    one, two = _index(spark), _index(spark)
-    for r in range(2):
-        one.ingest(docs.where(F.pmod("doc_id", F.lit(2)) == r), f"r{r}")
-
-    def crash(point: str) -> None:
-        if point == "segment written":
-            raise RuntimeError(point)
-
-    two.ingest(docs.where("doc_id % 2 = 0"), "r0")
-    try:
-        two.ingest(docs.where("doc_id % 2 = 1"), "r1", fault=crash)
-    except RuntimeError:
-        two.ingest(docs.where("doc_id % 2 = 1"), "r1")
-    return spark.createDataFrame([(one.digest() == two.digest(),)], "equal boolean")
+    """Five releases at fanout 2; the last one crashes at each point in turn and is ingested again: per
+    point whether the SHA-256 of every band and the decisions are those of an undisturbed run."""
+    docs = scratch.table(spark, d, "documents").select("doc_id", "text").withColumn("release_no", F.pmod("doc_id", F.lit(5)).cast("int"))
+    index = _index(spark, policies.Tiered(2))
+    _committed(index, index.prepare(docs.where("release_no < 4")), 4)
+    start, last = index.read()["snapshot"], docs.where("release_no = 4").select("doc_id", "text")
+
+    def outcome() -> tuple:
+        got = index.ingest(last, "r4").groupBy("status").agg(F.count(F.lit(1)), F.bit_xor(F.xxhash64("doc_id"))).collect()
+        return index.digest(), sorted(map(tuple, got))
+
+    want, rows = outcome(), []
+    for point in FAULTS:
+        index.rollback(start)
+
+        def crash(here: str, point=point) -> None:
+            if here == point:
+                raise RuntimeError(point)
+
+        try:
+            index.ingest(last, "r4", fault=crash)
+            crashed = False
+        except RuntimeError:
+            crashed = True
+        rows.append((point, crashed, outcome() == want))
+    return spark.createDataFrame(rows, "point string, crashed boolean, equal boolean")
 
 
 @query()

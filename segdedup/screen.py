@@ -46,26 +46,3 @@ def bulk(docs: DataFrame, keys: DataFrame) -> DataFrame:
     joined = ids.join(within, ["release_no", "doc_id"], "left").join(history, ["release_no", "doc_id"], "left")
     status = F.when(F.col("within_band").isNotNull(), "removed_within").when(F.col("first_release").isNotNull(), "removed_history").otherwise("kept")
     return joined.select("release_no", "doc_id", status.alias("status"), F.coalesce("within_band", "history_band").alias("band"), F.col("first_release").alias("matched_release"))
-
-
-def historical(keys: DataFrame, segments: list[DataFrame], strategy: str = "merge") -> DataFrame:
-    """doc_id of the documents with a key in some segment; keys: doc_id, band, key.
-
-    merge: a chain of anti joins drops matched keys segment by segment (early stop), the keys
-    keep their partitioning. broadcast: a small release is sent to the segments.
-    """
-    if not segments:
-        return keys.select("doc_id").limit(0)
-    if strategy == "broadcast":
-        asked = F.broadcast(keys.select("band", "key").distinct())
-        hits = None
-        for s in segments:
-            part = s.select("band", "key").join(asked, ["band", "key"], "left_semi")
-            hits = part if hits is None else hits.union(part)
-        return keys.join(hits.distinct(), ["band", "key"], "left_semi").select("doc_id").distinct()
-    free = keys
-    for s in segments:
-        free = free.join(s.select("band", "key"), ["band", "key"], "left_anti")
-    held = keys.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n"))
-    left = free.groupBy("doc_id").agg(F.count(F.lit(1)).alias("m"))
-    return held.join(left, "doc_id", "left").where(F.coalesce("m", F.lit(0)) < F.col("n")).select("doc_id")
