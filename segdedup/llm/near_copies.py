@@ -10,8 +10,8 @@ are thus a complete list of candidates. A passage that many texts share makes fe
 since a bucket of several shingles is equal as a whole or not at all.
 
 Of each posting all sets are compared with the first one, so a group of near copies costs about
-one comparison a member. What is then still in different components of one posting is compared
-by parity sketches: an element flips one of SKETCH bits, so the sketches of two sets differ in no
+one comparison a member, and then each with its nearest of another component. What is then still in
+different components of one posting is compared by parity sketches: an element flips one of SKETCH bits, so the sketches of two sets differ in no
 more bits than the sets do in elements, and a pair whose sketches differ in more than (a + b) / 9
 bits is no link. A task holds one block of a posting against another and gives only the pairs
 that may be links, which are few; no pair between components is left out. A link is kept if the
@@ -33,6 +33,8 @@ from segdedup.llm import simhash
 WIDTH, NUM, DEN = 5, 4, 5
 #: Bits of a parity sketch, and sets of a posting that a task holds against as many others.
 SKETCH, BLOCK = 1024, 2048
+#: Bits of a posting's key; keys that meet by chance cost a comparison of sketches, no more.
+KEY = np.uint64((1 << 48) - 1)
 _SPREAD = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xFF51AFD7ED558CCD], dtype=np.uint64)
 
 
@@ -89,7 +91,7 @@ def postings(ids: np.ndarray) -> np.ndarray:
         if buckets - len(named) >= sure:
             empty = np.setdiff1d(np.arange(buckets, dtype=np.uint64), named)
             value, named = np.concatenate([value, np.zeros(len(empty), dtype=np.uint64)]), np.concatenate([named, empty])
-        keys.append(_mix(value + _mix(named + np.uint64(level << 40))))
+        keys.append(_mix(value + _mix(named + np.uint64(level << 40))) & KEY)
     return np.concatenate(keys)
 
 
@@ -179,8 +181,8 @@ def _groups(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     yield out()
 
 
-def _able(n: np.ndarray, marks: np.ndarray, label: np.ndarray, other: slice, own: slice) -> tuple[np.ndarray, np.ndarray]:
-    """Places of the pairs that sizes, labels and sketches allow to be links, own against other."""
+def _able(n: np.ndarray, marks: np.ndarray, label: np.ndarray, other: slice, own: slice, nearest: bool) -> tuple[np.ndarray, np.ndarray]:
+    """Places of the pairs that sizes, labels and sketches allow to be links, own against other; of each own one only the nearest, if asked."""
     x, y = np.arange(len(n))[own], np.arange(len(n))[other]
     out = []
     for at in range(0, len(x), 128):
@@ -191,54 +193,62 @@ def _able(n: np.ndarray, marks: np.ndarray, label: np.ndarray, other: slice, own
             far += np.bitwise_count(marks[i, k][:, None] ^ marks[y, k][None, :])
         sized = (n[i][:, None] * DEN >= n[y][None, :] * NUM) & (n[y][None, :] * DEN >= n[i][:, None] * NUM)
         good = (label[i][:, None] != label[y][None, :]) & (9 * far <= total) & sized
-        a, b = np.nonzero(good)
+        if nearest and good.size:
+            b = np.where(good, 9 * far - total, np.iinfo(np.int64).max).argmin(axis=1)
+            a = np.flatnonzero(good[np.arange(len(i)), b])
+            b = b[a]
+        else:
+            a, b = np.nonzero(good)
         out.append((i[a], y[b]))
     return tuple(np.concatenate(c) if out else np.zeros(0, dtype=np.int64) for c in (zip(*out, strict=True) if out else [(), ()]))
 
 
-def _block_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows come sorted by gid, a, b (a pair of blocks); candidates between the sets of blocks a and b."""
-    found: set[tuple[int, int]] = set()
-    held: list[pa.RecordBatch] = []
-    now = None
-
-    def close() -> None:
-        if not held:
-            return
-        rows = pa.Table.from_batches(held).combine_chunks()
-        node, label, n, block = (rows.column(c).to_numpy() for c in ("node", "label", "n", "block"))
-        order = np.argsort(block, kind="stable")
-        node, label, n = node[order], label[order], n[order]
-        marks = np.frombuffer(b"".join(rows.column("sketch").take(pa.array(order)).to_pylist()), dtype="<u8").reshape(len(node), -1)
-        _, a, b = now
-        cut = int(np.searchsorted(block[order], a, side="right"))
-        own, other = (slice(0, len(node)), slice(0, len(node))) if a == b else (slice(0, cut), slice(cut, len(node)))
-        i, j = _able(n, marks, label, other, own)
-        u, v = node[i], node[j]
-        lower, upper = np.minimum(u, v), np.maximum(u, v)
-        found.update(zip(lower[lower != upper].tolist(), upper[lower != upper].tolist(), strict=True))
-
-    def out() -> pa.RecordBatch:
-        pairs = np.array(sorted(found), dtype=np.int64).reshape(-1, 2)
-        found.clear()
-        return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["u", "v"])
-
-    for batch in batches:
-        keys = [batch.column(c).to_numpy() for c in ("gid", "a", "b")]
-        cuts = np.flatnonzero(np.any([np.diff(k) != 0 for k in keys], axis=0)) + 1
-        edges = [0, *cuts.tolist(), len(batch)]
-        for x, y in zip(edges[:-1], edges[1:], strict=True):
-            if x == y:
-                continue
-            this = tuple(int(k[x]) for k in keys)
-            if this != now:
-                close()
-                now, held = this, []
-            held.append(batch.slice(x, y - x))
-        if len(found) > 100_000:
-            yield out()
-    close()
-    yield out()
+def _block_pairs(nearest: bool):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Rows come sorted by gid, a, b (a pair of blocks); candidates between the sets of blocks a and b."""
+        found: set[tuple[int, int]] = set()
+        held: list[pa.RecordBatch] = []
+        now = None
+
+        def close() -> None:
+            if not held:
+                return
+            rows = pa.Table.from_batches(held).combine_chunks()
+            node, label, n, block = (rows.column(c).to_numpy() for c in ("node", "label", "n", "block"))
+            order = np.argsort(block, kind="stable")
+            node, label, n = node[order], label[order], n[order]
+            marks = np.frombuffer(b"".join(rows.column("sketch").take(pa.array(order)).to_pylist()), dtype="<u8").reshape(len(node), -1)
+            _, a, b = now
+            cut = int(np.searchsorted(block[order], a, side="right"))
+            own, other = (slice(0, len(node)), slice(0, len(node))) if a == b else (slice(0, cut), slice(cut, len(node)))
+            i, j = _able(n, marks, label, other, own, nearest)
+            u, v = node[i], node[j]
+            lower, upper = np.minimum(u, v), np.maximum(u, v)
+            found.update(zip(lower[lower != upper].tolist(), upper[lower != upper].tolist(), strict=True))
+
+        def out() -> pa.RecordBatch:
+            pairs = np.array(sorted(found), dtype=np.int64).reshape(-1, 2)
+            found.clear()
+            return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["u", "v"])
+
+        for batch in batches:
+            keys = [batch.column(c).to_numpy() for c in ("gid", "a", "b")]
+            cuts = np.flatnonzero(np.any([np.diff(k) != 0 for k in keys], axis=0)) + 1
+            edges = [0, *cuts.tolist(), len(batch)]
+            for x, y in zip(edges[:-1], edges[1:], strict=True):
+                if x == y:
+                    continue
+                this = tuple(int(k[x]) for k in keys)
+                if this != now:
+                    close()
+                    now, held = this, []
+                held.append(batch.slice(x, y - x))
+            if len(found) > 100_000:
+                yield out()
+        close()
+        yield out()
+
+    return run
 
 
 def _plausible(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -291,8 +301,11 @@ def _wanted(docs: DataFrame, rows: DataFrame, nodes: DataFrame) -> DataFrame:
     return scratch.written(texts.select("text").mapInArrow(_sets, "node long, ids binary"), "near-sets")
 
 
-def _across(open_: DataFrame, sets: DataFrame) -> DataFrame:
-    """u, v: pairs of one posting and different labels that sketches do not rule out; open_: gid, node, label."""
+def _across(open_: DataFrame, sets: DataFrame, nearest: bool = False) -> DataFrame:
+    """u, v: pairs of one posting and different labels that sketches do not rule out; open_: gid, node, label.
+
+    nearest: of each node only the pair with the nearest sketch in each block.
+    """
     n = scratch.shuffle_partitions(open_.sparkSession)
     many = open_.groupBy("gid").agg(F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("blocks"))
     placed = open_.join(many, "gid").withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
@@ -300,7 +313,7 @@ def _across(open_: DataFrame, sets: DataFrame) -> DataFrame:
     dealt = placed.withColumn("y", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     dealt = dealt.select("gid", F.least("block", "y").alias("a"), F.greatest("block", "y").alias("b"), "block", "node", "label")
     sized = dealt.join(sets.select("node", "n", "sketch"), "node").select("gid", "a", "b", "block", "node", "label", "n", "sketch")
-    return sized.repartition(n, "gid", "a", "b").sortWithinPartitions("gid", "a", "b").mapInArrow(_block_pairs, "u long, v long").distinct()
+    return sized.repartition(n, "gid", "a", "b").sortWithinPartitions("gid", "a", "b").mapInArrow(_block_pairs(nearest), "u long, v long").distinct()
 
 
 def links(docs: DataFrame, rows: DataFrame) -> DataFrame:
@@ -327,15 +340,26 @@ def links(docs: DataFrame, rows: DataFrame) -> DataFrame:
     stars = scratch.written(stars.join(left, "u").join(right, "v").mapInArrow(_plausible, "u long, v long"), "near-stars")
     scratch.release(spark)
     sure = confirmed(stars)
-    joined = components.components(sure)
+    # each node with its nearest, so that most components are whole before all is compared
+    for nearest in (True, False):
+        open_ = _open(flat, components.components(sure))
+        rest = scratch.written(_across(open_, nodes, nearest).join(stars, ["u", "v"], "left_anti"), "near-rest")
+        late = confirmed(rest)
+        scratch.drop(open_)
+        sure = scratch.written(sure.union(late), "near-sure")
+        stars = scratch.written(stars.union(rest), "near-asked")
+    scratch.drop(groups, nodes)
+    return sure
+
+
+def _open(flat: DataFrame, joined: DataFrame) -> DataFrame:
+    """gid, node, label of the postings that hold different components; written."""
     named = flat.join(joined, "node", "left").select("gid", "node", F.coalesce("component", "node").alias("label"))
     named = scratch.written(named, "near-named")
     mixed = named.groupBy("gid").agg(F.min("label").alias("a"), F.max("label").alias("b")).where("a <> b").select("gid")
-    open_ = scratch.written(named.join(mixed, "gid", "left_semi"), "near-open")
-    rest = scratch.written(_across(open_, nodes).join(stars, ["u", "v"], "left_anti"), "near-rest")
-    late = confirmed(rest)
-    scratch.drop(groups, named, open_, nodes)
-    return sure.union(late)
+    found = scratch.written(named.join(mixed, "gid", "left_semi"), "near-open")
+    scratch.drop(named)
+    return found
 
 
 def one_of_each(docs: DataFrame) -> DataFrame:
