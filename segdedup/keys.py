@@ -127,3 +127,20 @@ def exact_dedup(docs: DataFrame) -> DataFrame:
 def similarity(a, b):
     """Share of agreeing positions of two signatures."""
     return F.aggregate(F.zip_with(a, b, lambda x, y: (x == y).cast("int")), F.lit(0), lambda s, x: s + x) / F.size(a)
+
+
+def register(spark, config: DedupConfig) -> None:
+    """Makes segdedup_band_keys(text) callable from SQL: a row (band, key) for each band."""
+    from pyspark.sql.functions import udtf
+
+    @udtf(returnType="band int, key bigint")
+    class BandKeys:
+        def __init__(self):
+            self.signer = Signer(config)
+
+        def eval(self, text: str):
+            signed = self.signer.signature(text)
+            if signed is not None:
+                yield from enumerate(self.signer.keys(signed))
+
+    spark.udtf.register("segdedup_band_keys", BandKeys)
