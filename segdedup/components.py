@@ -15,7 +15,7 @@ from segdedup import scratch
 
 
 def _star(edges: DataFrame, larger: bool) -> DataFrame:
-    """edges (u, v), both directions in, one direction out: v, then the least of its circle."""
+    """edges (u, v), the larger end first; out of the large star they may repeat, no more than edges came in."""
     if larger:
         both = edges.select("u", "v").union(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
     else:
@@ -24,8 +24,8 @@ def _star(edges: DataFrame, larger: bool) -> DataFrame:
     joined = both.join(least, "u")
     if larger:
         out = joined.where(F.col("v") > F.col("u")).select(F.col("v").alias("u"), F.col("m").alias("v"))
-    else:
-        out = joined.select(F.col("v").alias("u"), F.col("m").alias("v")).union(least.select("u", F.col("m").alias("v")))
+        return out.where(F.col("u") != F.col("v"))
+    out = joined.select(F.col("v").alias("u"), F.col("m").alias("v")).union(least.select("u", F.col("m").alias("v")))
     return out.where(F.col("u") != F.col("v")).distinct()
 
 
