@@ -362,6 +362,15 @@ def _open(flat: DataFrame, joined: DataFrame) -> DataFrame:
     return found
 
 
+def _by_mark(rows: DataFrame, close: DataFrame) -> DataFrame:
+    """u, v: marks and their nodes, where a mark joins nodes: it has several, or a link of its own (close)."""
+    pairs = rows.select("mark", "node").distinct()
+    several = pairs.groupBy("mark").agg(F.min("node").alias("a"), F.max("node").alias("b")).where("a <> b").select("mark")
+    linked = close.select(F.explode(F.array("u", "v")).alias("mark"))
+    joins = several.union(linked).distinct()
+    return pairs.join(joins, "mark", "left_semi").select(F.col("mark").alias("u"), F.col("node").alias("v"))
+
+
 def one_of_each(docs: DataFrame) -> DataFrame:
     """Of each component of rows (same set, 0.8 or more, or SimHash within op9's bits) one row.
 
@@ -369,8 +378,8 @@ def one_of_each(docs: DataFrame) -> DataFrame:
     has several in the component, is settled by a hash. doc_id itself links nothing.
     """
     rows = read(docs)
-    near = links(docs, rows).union(simhash.links(rows)).union(rows.select(F.col("mark").alias("u"), F.col("node").alias("v")).distinct())
-    joined = components.components(near)
+    close = scratch.written(simhash.links(rows), "near-marks")
+    joined = components.components(links(docs, rows).union(close).union(_by_mark(rows, close)))
     small = rows.select("row_key", "doc_id", "node")
     rooted = small.join(joined, "node", "left").withColumn("root", F.coalesce("component", "node"))
     best = rooted.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", "row_key")).alias("best"))
