@@ -14,8 +14,9 @@ one comparison a member, and then each with its nearest of another component. Wh
 different components of one posting is compared by parity sketches: an element flips one of SKETCH bits, so the sketches of two sets differ in no
 more bits than the sets do in elements, and a pair whose sketches differ in more than (a + b) / 9
 bits is no link. A task holds one block of a posting against another and gives only the pairs
-that may be links, which are few; no pair between components is left out. A link is kept if the
-whole sets confirm it.
+that may be links, which are few; no pair between components is left out. Before whole sets are
+fetched, wide sketches, of a bit or more for each element, rule out pairs of long sets. A link is
+kept if the whole sets confirm it.
 """
 
 from __future__ import annotations
@@ -101,15 +102,26 @@ def _node(ids: np.ndarray) -> int:
     return int(np.uint64(xxhash.xxh64_intdigest(ids.tobytes())).view(np.int64)) if len(ids) else 0
 
 
-def sketch(ids: np.ndarray) -> bytes:
-    """Parity of the elements that fall on each of SKETCH bits."""
-    bits = np.bincount((_mix(ids ^ _SPREAD[0]) % np.uint64(SKETCH)).astype(np.int64), minlength=SKETCH) & 1
+def sketch(ids: np.ndarray, width: int = SKETCH) -> bytes:
+    """Parity of the elements that fall on each of width bits, a power of two."""
+    bits = np.bincount((_mix(ids ^ _SPREAD[0]) % np.uint64(width)).astype(np.int64), minlength=width) & 1
     return np.packbits(bits.astype(np.uint8)).tobytes()
 
 
+def wide_sketch(ids: np.ndarray) -> bytes:
+    """A sketch with a bit or more for each element: one of fixed width says nothing of long sets."""
+    return sketch(ids, max(SKETCH, 1 << (len(ids) - 1).bit_length() if len(ids) else 0))
+
+
+def least_difference(x: bytes, y: bytes) -> int:
+    """Bits in which two wide sketches differ, the wider folded to the other: the sets differ in no fewer elements."""
+    x, y = sorted((np.frombuffer(z, dtype="<u8") for z in (x, y)), key=len)
+    return int(np.bitwise_count(x ^ np.bitwise_xor.reduce(y.reshape(-1, len(x)), axis=0)).sum())
+
+
 def _read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        marks, nodes, sizes, sketches = [], [], [], []
+        marks, nodes, sizes, sketches, wide = [], [], [], [], []
         for cell in batch.column(2):
             text = cell.as_py()
             ids = shingles(text)
@@ -117,8 +129,9 @@ def _read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             nodes.append(_node(ids))
             sizes.append(len(ids))
             sketches.append(sketch(ids))
-        columns = [pa.array(marks, pa.int64()), pa.array(nodes, pa.int64()), pa.array(sizes, pa.int64()), pa.array(sketches, pa.binary())]
-        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *columns], names=["row_key", "doc_id", "mark", "node", "n", "sketch"])
+            wide.append(wide_sketch(ids))
+        columns = [pa.array(c, pa.int64()) for c in (marks, nodes, sizes)] + [pa.array(c, pa.binary()) for c in (sketches, wide)]
+        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *columns], names=["row_key", "doc_id", "mark", "node", "n", "sketch", "wide"])
 
 
 def _post(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -252,10 +265,10 @@ def _block_pairs(nearest: bool):
 
 
 def _plausible(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """u, v, their sizes and sketches come in; the pairs that may be links go out."""
+    """u, v, their sizes and wide sketches come in; the pairs that may be links go out."""
     for batch in batches:
-        x, y = (np.frombuffer(b"".join(batch.column(c).to_pylist()), dtype="<u8").reshape(len(batch), SKETCH // 64) for c in ("u_sketch", "v_sketch"))
-        far = np.bitwise_count(x ^ y).sum(axis=1, dtype=np.int64)
+        both = zip(batch.column("u_wide"), batch.column("v_wide"), strict=True)
+        far = np.array([least_difference(x.as_py(), y.as_py()) for x, y in both], dtype=np.int64)
         n, m = batch.column("u_n").to_numpy(), batch.column("v_n").to_numpy()
         good = (9 * far <= n + m) & (n * DEN >= m * NUM) & (m * DEN >= n * NUM)
         yield batch.select(["u", "v"]).filter(pa.array(good))
@@ -274,9 +287,9 @@ def _confirm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def read(docs: DataFrame) -> DataFrame:
-    """row_key, doc_id, mark (SimHash), node (hash of the shingle set, 0 if empty), n, sketch; written."""
+    """row_key, doc_id, mark (SimHash), node (hash of the shingle set, 0 if empty), n, sketch, wide; written."""
     rows = docs.select(row_key(), F.col("doc_id").cast("long").alias("doc_id"), "text")
-    return scratch.written(rows.mapInArrow(_read, "row_key string, doc_id long, mark long, node long, n long, sketch binary"), "near-rows")
+    return scratch.written(rows.mapInArrow(_read, "row_key string, doc_id long, mark long, node long, n long, sketch binary, wide binary"), "near-rows")
 
 
 def row_key():
@@ -322,7 +335,7 @@ def links(docs: DataFrame, rows: DataFrame) -> DataFrame:
     groups = _candidates(docs)
     scratch.release(spark)
     flat = groups.select("gid", F.explode("nodes").alias("node"))
-    nodes = scratch.written(rows.where("node <> 0").select("node", "n", "sketch").dropDuplicates(["node"]), "near-nodes")
+    nodes = scratch.written(rows.where("node <> 0").select("node", "n", "sketch", "wide").dropDuplicates(["node"]), "near-nodes")
 
     def confirmed(pairs: DataFrame) -> DataFrame:
         """Of written pairs those that the whole sets confirm."""
@@ -335,16 +348,19 @@ def links(docs: DataFrame, rows: DataFrame) -> DataFrame:
         scratch.release(spark)
         return found
 
+    def plausible(pairs: DataFrame) -> DataFrame:
+        left, right = (nodes.select(F.col("node").alias(i), F.col("n").alias(f"{i}_n"), F.col("wide").alias(f"{i}_wide")) for i in "uv")
+        return pairs.join(left, "u").join(right, "v").mapInArrow(_plausible, "u long, v long")
+
     stars = groups.select(F.element_at("nodes", 1).alias("u"), F.explode("nodes").alias("v")).where("u <> v").distinct()
-    left, right = (nodes.select(F.col("node").alias(i), F.col("n").alias(f"{i}_n"), F.col("sketch").alias(f"{i}_sketch")) for i in "uv")
-    stars = scratch.written(stars.join(left, "u").join(right, "v").mapInArrow(_plausible, "u long, v long"), "near-stars")
+    stars = scratch.written(plausible(stars), "near-stars")
     scratch.release(spark)
     sure = confirmed(stars)
     # each node with its nearest, so that most components are whole before all is compared
     for nearest in (True, False):
         open_ = _open(flat, components.components(sure))
         rest = scratch.written(_across(open_, nodes, nearest).join(stars, ["u", "v"], "left_anti"), "near-rest")
-        late = confirmed(rest)
+        late = confirmed(scratch.written(plausible(rest), "near-able"))
         scratch.drop(open_)
         sure = scratch.written(sure.union(late), "near-sure")
         stars = scratch.written(stars.union(rest), "near-asked")

@@ -63,6 +63,20 @@ def test_near_sets_share_a_posting():
             assert np.intersect1d(near_copies.postings(x), near_copies.postings(y)).size
 
 
+def test_wide_sketches_never_overstate_a_difference():
+    draw = np.random.default_rng(6)
+    for n in (1, 2, 1023, 1024, 1025, 3000, 9000):
+        for gone in sorted({0, 1, n // 10, n // 2, n}):
+            pool = draw.integers(0, 2**63, 2 * n + 5, dtype=np.uint64)
+            x, y = pool[:n], pool[gone : gone + n + 5]
+            far = near_copies.least_difference(near_copies.wide_sketch(x), near_copies.wide_sketch(y))
+            assert far <= len(np.setxor1d(x, y))
+    x, y = (draw.integers(0, 2**63, 9000, dtype=np.uint64) for _ in "xy")
+    assert 9 * near_copies.least_difference(near_copies.wide_sketch(x), near_copies.wide_sketch(y)) > 18000  # ruled out
+    empty = near_copies.wide_sketch(x[:0])
+    assert near_copies.least_difference(empty, near_copies.wide_sketch(x[:1])) == 1
+
+
 def test_rows_without_own_id_stay(spark):
     draw = random.Random(4)
     a, b, c, d = (" ".join(f"w{draw.randrange(900)}" for _ in range(80)) for _ in range(4))
