@@ -29,7 +29,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from segdedup import components, scratch
-from segdedup.llm import simhash
+from segdedup.llm import simhash, tokens
 
 WIDTH, NUM, DEN = 5, 4, 5
 #: Bits of a parity sketch, and sets of a posting that a task holds against as many others.
@@ -120,6 +120,7 @@ def least_difference(x: bytes, y: bytes) -> int:
 
 
 def _read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    tokens.forget()
     for batch in batches:
         marks, nodes, sizes, sketches, wide = [], [], [], [], []
         for cell in batch.column(2):
@@ -135,6 +136,7 @@ def _read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _post(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    tokens.forget()
     for batch in batches:
         for at in range(0, len(batch), 500):
             sets = [s for t in batch.column(0).slice(at, 500) if len(s := shingles(t.as_py()))]

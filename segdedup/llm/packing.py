@@ -129,7 +129,7 @@ def _packer(vocabulary: str, capacity: int, end_id: int):
             return pa.RecordBatch.from_arrays(columns, names=["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"])
 
         for batch in batches:
-            for key, got in zip(batch.column("doc_id").to_pylist(), tokens.batches(encode, batch.column("text").to_pylist()), strict=True):
+            for key, got in zip(batch.column("doc_id").to_pylist(), tokens.batches(encode, (t.as_py() for t in batch.column("text"))), strict=True):
                 ids = np.concatenate([got, end])
                 held.append((key, ids, 0, len(ids)))
                 size += len(ids)

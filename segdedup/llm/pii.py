@@ -27,6 +27,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from segdedup import scratch
+from segdedup.llm import tokens
 
 KINDS = ("email", "ip", "card", "phone")
 LABELERS = 5
@@ -208,6 +209,7 @@ CANDIDATES = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64()), ("k
 
 def _propose(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """row and text come in; row and the candidates go out."""
+    tokens.forget()
     for batch in batches:
         every = [[{"start": a, "end": b, "kind": k, "base": base, "votes": v} for a, k, b, base, v in spans(text.as_py() or "")] for text in batch.column("text")]
         yield pa.RecordBatch.from_arrays([batch.column("row"), pa.array(every, CANDIDATES)], names=["row", "found"])

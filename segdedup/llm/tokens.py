@@ -7,18 +7,26 @@ little-endian 16-bit bytes, and hands only new words to the tokenizers library,
 text: their ids are told apart by the tokens that begin with a space or line feed, which occur
 only at the start of a word. Texts with other white space, runs of it, or a special token's
 string go to the library whole.
+
+A worker outlives the stage it works for, and its memory counts as its executor's: texts are
+encoded in small groups, and a worker that turns to other work forgets what it has learnt.
 """
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import os
 import re
+from collections.abc import Iterable
 
 import numpy as np
 
 TAILS = ",."
-#: Words a worker remembers at most; later new words are encoded each time they are met.
-CACHE_WORDS = 1_000_000
+#: Words a worker remembers at most, and characters of such a word; others are encoded each time they are met.
+CACHE_WORDS, LONGEST = 1_000_000, 64
+#: Characters of texts that are encoded at once.
+GROUP = 400_000
 #: New words in one text for the library.
 JOINED = 64
 OTHER_SPACE = re.compile("[\t\r\x0b\x0c\x1c-\x1f\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]")
@@ -94,7 +102,7 @@ class Encoder:
                 for i, word in gap:
                     ids[i] = found[word]
             if len(self.known) + len(found) <= self.cache_words:
-                self.known.update(found)
+                self.known.update((w, ids) for w, ids in found.items() if len(w) <= LONGEST)
         whole = iter(self._whole(odd) if odd else ())
         return [next(whole) if ids is None else np.frombuffer(b"".join(ids), dtype="<u2") for ids in got]
 
@@ -109,7 +117,16 @@ def encoder(vocabulary: str) -> Encoder:
     return _encoders[vocabulary]
 
 
-def batches(encode: Encoder, texts: list[str | None], chars: int = 4_000_000):
+def forget() -> None:
+    """Gives back what this worker's encoders hold; kernels of other work call it."""
+    if _encoders:
+        _encoders.clear()
+        gc.collect()
+        if trim := getattr(ctypes.CDLL(None), "malloc_trim", None):
+            trim(0)
+
+
+def batches(encode: Encoder, texts: Iterable[str | None], chars: int = GROUP):
     """Ids of each text, null as empty, encoded in groups of about `chars` characters."""
     group, size = [], 0
     for text in texts:
