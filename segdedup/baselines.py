@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from segdedup import components, costmodel, keys, scratch, screen, similarity
+from segdedup import components, costmodel, keys, scratch, screen, set_join, similarity
 
 
 #: Bytes of a (band, key) entry of a hash table in memory: two words, a pointer, the table's slack.
@@ -115,18 +115,24 @@ def ml_minhash(docs: DataFrame, tables: int = 8, distance: float = 0.3) -> DataF
     """Spark ML's MinHash join of the documents' word sets: a, b, distance.
 
     Texts without words have no row. Equal word sets are joined once; their further documents stand beside the smallest at distance 0.
+    The library's own join first makes every pair that agrees in one of `tables` values, which are most pairs of one language;
+    here the candidates are the pairs near enough, and of them those that agree are kept: the same rows.
     """
     from pyspark.ml.feature import HashingTF, MinHashLSH
 
-    split = F.filter(F.split(keys.normalise(F.col("text")), " "), lambda w: w != "")
-    words = docs.select("doc_id", split.alias("w")).where(F.size("w") > 0)
-    words = scratch.written(words.withColumn("w", F.array_sort(F.array_distinct("w"))), "word-sets")
-    groups = scratch.written(similarity.classes(words, "w"), "classes")
-    words = similarity.representatives(words, groups)
-    vectors = HashingTF(inputCol="w", outputCol="v", numFeatures=1 << 18, binary=True).transform(words)
-    model = MinHashLSH(inputCol="v", outputCol="h", numHashTables=tables, seed=7).fit(vectors)
-    found = model.approxSimilarityJoin(vectors, vectors, distance, "distance").where("datasetA.doc_id < datasetB.doc_id")
-    between = found.select(F.col("datasetA.doc_id").alias("a"), F.col("datasetB.doc_id").alias("b"), F.round("distance", 6).alias("distance"))
+    words = scratch.written(set_join.words(docs), "word-sets")
+    groups = scratch.written(similarity.classes(words.select("doc_id", F.array("w").alias("w")), "w"), "classes")
+    hashing = HashingTF(inputCol="w", outputCol="v", numFeatures=1 << 18, binary=True)
+    vectors = hashing.transform(similarity.representatives(words, groups).select("doc_id", F.split("w", " ").alias("w")))
+    sets = scratch.written(vectors.select("doc_id", F.unwrap_udt("v")["indices"].alias("ids")), "index-sets")
+    pairs = scratch.written(set_join.candidates(sets, 1 - distance), "candidates")
+    asked = vectors.join(pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), "doc_id", "left_semi")
+    hashed = MinHashLSH(inputCol="v", outputCol="h", numHashTables=tables, seed=7).fit(vectors).transform(asked)
+    # a value of the library's is a vector of one whole number below 2^31
+    marks = F.transform("h", lambda h: F.unwrap_udt(h)["values"][0].cast("int"))
+    signed = scratch.written(hashed.select("doc_id", F.unwrap_udt("v")["indices"].alias("ids"), marks.alias("marks")), "signed")
+    apart = F.lit(1.0) - F.col("inter") / F.col("uni")
+    between = set_join.compared(pairs, signed).where(F.col("agree") & (apart < distance)).select("a", "b", F.round(apart, 6).alias("distance"))
     return between.union(similarity.star(groups).select("a", "b", F.lit(0.0)))
 
 
