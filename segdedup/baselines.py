@@ -120,17 +120,22 @@ def ml_minhash(docs: DataFrame, tables: int = 8, distance: float = 0.3) -> DataF
     """
     from pyspark.ml.feature import HashingTF, MinHashLSH
 
-    words = scratch.written(set_join.words(docs), "word-sets")
-    groups = scratch.written(similarity.classes(words.select("doc_id", F.array("w").alias("w")), "w"), "classes")
-    hashing = HashingTF(inputCol="w", outputCol="v", numFeatures=1 << 18, binary=True)
-    vectors = hashing.transform(similarity.representatives(words, groups).select("doc_id", F.split("w", " ").alias("w")))
-    sets = scratch.written(vectors.select("doc_id", F.unwrap_udt("v")["indices"].alias("ids")), "index-sets")
-    pairs = scratch.written(set_join.candidates(sets, 1 - distance), "candidates")
-    asked = vectors.join(pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), "doc_id", "left_semi")
-    hashed = MinHashLSH(inputCol="v", outputCol="h", numHashTables=tables, seed=7).fit(vectors).transform(asked)
+    spark = docs.sparkSession
+    words = set_join.words(docs).select("doc_id", F.sha2("w", 256).alias("class_"), F.split("w", " ").alias("w"))
+    vectors = HashingTF(inputCol="w", outputCol="v", numFeatures=1 << 18, binary=True).transform(words)
+    hashed = MinHashLSH(inputCol="v", outputCol="h", numHashTables=tables, seed=7).fit(vectors).transform(vectors)
     # a value of the library's is a vector of one whole number below 2^31
     marks = F.transform("h", lambda h: F.unwrap_udt(h)["values"][0].cast("int"))
-    signed = scratch.written(hashed.select("doc_id", F.unwrap_udt("v")["indices"].alias("ids"), marks.alias("marks")), "signed")
+    every = scratch.written(hashed.select("doc_id", "class_", F.unwrap_udt("v")["indices"].alias("ids"), marks.alias("marks")), "word-sets")
+    groups = scratch.written(similarity.classes(every.select("doc_id", F.array("class_").alias("w")), "w"), "classes")
+    sets = scratch.written(similarity.representatives(every.drop("class_"), groups), "sets")
+    scratch.drop(every)
+    scratch.release(spark)
+    pairs = scratch.written(set_join.candidates(sets, 1 - distance), "candidates")
+    scratch.release(spark)
+    asked = pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct()
+    signed = scratch.written(sets.join(asked, "doc_id", "left_semi"), "signed")
+    scratch.release(spark)
     apart = F.lit(1.0) - F.col("inter") / F.col("uni")
     between = set_join.compared(pairs, signed).where(F.col("agree") & (apart < distance)).select("a", "b", F.round(apart, 6).alias("distance"))
     return between.union(similarity.star(groups).select("a", "b", F.lit(0.0)))

@@ -43,11 +43,16 @@ def _shared(total: np.ndarray, least: float) -> np.ndarray:
     return np.maximum(np.ceil(least / (1 + least) * total - SLACK), 1).astype(np.int64)
 
 
-def _sketch(ids: np.ndarray) -> bytes:
-    """Parities on a power of two of bits, one or more for each element."""
-    width = max(LEAST_BITS, 1 << (len(ids) - 1).bit_length())
+def _width(n):
+    """Bits of the sketch of n elements: a power of two, n or more."""
+    return np.maximum(LEAST_BITS, np.int64(1) << np.frexp(np.asarray(n) - 1)[1].astype(np.int64))
+
+
+def _sketch(ids: np.ndarray) -> np.ndarray:
+    """Parities of the elements that fall on each bit."""
+    width = int(_width(len(ids)))
     at = (ids.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(32)) & np.uint64(width - 1)
-    return np.packbits((np.bincount(at.astype(np.int64), minlength=width) & 1).astype(np.uint8)).tobytes()
+    return np.packbits((np.bincount(at.astype(np.int64), minlength=width) & 1).astype(np.uint8)).view("<u8")
 
 
 def _fold(sketches: np.ndarray, words: int) -> np.ndarray:
@@ -55,36 +60,38 @@ def _fold(sketches: np.ndarray, words: int) -> np.ndarray:
     return np.bitwise_xor.reduce(sketches.reshape(len(sketches), -1, words), axis=1)
 
 
+#: What a row holds for one part: of each set its doc_id, size, number of postings and sketch, of each posting the rest.
+COLUMNS = {"doc": "<i8", "n": "<i4", "many": "<i4", "sketch": "<u8", "rank": "<i4", "place": "<i4", "before": "<i4"}
+
+
 def _post(rank: np.ndarray, single: int, parts: int, least: float):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for start in range(0, len(batch), 500):
-                cut = batch.slice(start, 500)
-                part, doc, size, posted, sketches = [], [], [], [], []
+            for start in range(0, len(batch), 2000):
+                cut = batch.slice(start, 2000)
+                dealt: dict[int, list[tuple]] = {}
                 for name, cell in zip(cut.column(0).to_pylist(), cut.column(1), strict=True):
                     ids = cell.values.to_numpy()
                     n = len(ids)
                     length = n - max(int(np.ceil(least * n - SLACK)), 1) + 1
                     ranks = np.sort(rank[ids])[:length]
-                    place = np.arange(length)
-                    # an element of one set meets no other
-                    ranks, place = ranks[ranks >= single], place[ranks >= single]
-                    if not len(ranks):
+                    rows = np.stack([ranks, np.arange(length), np.append(-1, ranks[:-1])], axis=1).astype(np.int32)
+                    rows = rows[ranks >= single]  # an element of one set meets no other
+                    if not len(rows):
                         continue
-                    to = ranks % parts
+                    mark, to = _sketch(ids), rows[:, 0] % parts
                     order = np.argsort(to, kind="stable")
-                    both = np.stack([ranks[order], place[order]], axis=1).astype(np.int32)
-                    edges = np.flatnonzero(np.diff(to[order])) + 1
-                    part += to[order][np.append(0, edges)].tolist()
-                    pieces = np.split(both, edges)
-                    posted += [x.tobytes() for x in pieces]
-                    doc += [name] * len(pieces)
-                    size += [n] * len(pieces)
-                    sketches += [_sketch(ids)] * len(pieces)
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(part, pa.int32()), pa.array(doc, pa.int64()), pa.array(size, pa.int32()), pa.array(posted, pa.binary()), pa.array(sketches, pa.binary())],
-                    names=["part", "doc_id", "n", "posted", "sketch"],
-                )
+                    edges = np.append(0, np.flatnonzero(np.diff(to[order])) + 1)
+                    for part, piece in zip(to[order][edges].tolist(), np.split(rows[order], edges[1:]), strict=True):
+                        dealt.setdefault(part, []).append((name, n, len(piece), mark, piece))
+                columns = [[] for _ in COLUMNS]
+                for held in dealt.values():
+                    doc, n, many, marks, pieces = zip(*held, strict=True)
+                    flat = np.concatenate(pieces)
+                    values = (doc, n, many, np.concatenate(marks), *flat.T)
+                    for column, value, kind in zip(columns, values, COLUMNS.values(), strict=True):
+                        column.append(np.ascontiguousarray(value, dtype=kind).tobytes())
+                yield pa.RecordBatch.from_arrays([pa.array(list(dealt), pa.int32()), *(pa.array(c, pa.binary()) for c in columns)], names=["part", *COLUMNS])
 
     return run
 
@@ -103,19 +110,16 @@ def _pairs(least: float):
         rows = [b for b in batches if len(b)]
         if not rows:
             return
-        table = pa.Table.from_batches(rows)
-        doc, size = table.column("doc_id").to_numpy(), table.column("n").to_numpy().astype(np.int64)
-        raw = [np.frombuffer(x.as_py(), dtype="<i4").reshape(-1, 2) for x in table.column("posted")]
-        entry = np.repeat(np.arange(len(doc)), [len(x) for x in raw])
-        raw = np.concatenate(raw).astype(np.int64)
-        words = np.zeros(len(doc), dtype=np.int64)
-        wide, within = {}, np.zeros(len(doc), dtype=np.int64)
-        lengths = np.array([len(x.as_py()) // 8 for x in table.column("sketch")])
-        for w in np.unique(lengths).tolist():
-            own = np.flatnonzero(lengths == w)
-            words[own], within[own] = w, np.arange(len(own))
-            wide[w] = np.frombuffer(b"".join(table.column("sketch").take(pa.array(own)).to_pylist()), dtype="<u8").reshape(len(own), w)
-        del table, rows
+        doc, size, many, marks, rank, place, before = (np.frombuffer(b"".join(x.as_py() for b in rows for x in b.column(c)), dtype=kind) for c, kind in COLUMNS.items())
+        del rows
+        size = size.astype(np.int64)
+        entry = np.repeat(np.arange(len(doc)), many)
+        words, within = _width(size) // 64, np.zeros(len(doc), dtype=np.int64)
+        begin, wide = np.cumsum(words) - words, {}
+        for w in np.unique(words).tolist():
+            own = np.flatnonzero(words == w)
+            within[own] = np.arange(len(own))
+            wide[w] = marks[begin[own][:, None] + np.arange(w)]
         folded: dict[tuple[int, int], np.ndarray] = {}
 
         def at_width(w: int, to: int) -> np.ndarray:
@@ -124,9 +128,9 @@ def _pairs(least: float):
             return folded[w, to]
 
         # of one element by size: a set's possible larger partners follow it without a gap
-        order = np.lexsort((entry, size[entry], raw[:, 0]))
-        entry, left = entry[order], (size[entry] - raw[:, 1])[order]
-        key = (raw[order, 0] << 32) | size[entry]
+        order = np.lexsort((entry, size[entry], rank))
+        entry, left, before = entry[order], (size[entry] - place)[order], before[order]
+        key = (rank[order].astype(np.int64) << 32) | size[entry]
         n = size[entry]
         most = n if least <= 0 else np.floor(n / least + SLACK).astype(np.int64)
         top = key | 0xFFFFFFFF if least <= 0 else (key >> 32 << 32) | np.minimum(most, 0xFFFFFFFF)
@@ -139,8 +143,13 @@ def _pairs(least: float):
         def out() -> pa.RecordBatch:
             code = np.unique(np.concatenate(found)) if found else np.zeros(0, dtype=np.int64)
             x, y = doc[code // len(doc)], doc[code % len(doc)]
+            a, b = np.minimum(x, y), np.maximum(x, y)
+            order = np.lexsort((b, a))
+            a, b = a[order], b[order]
+            starts = np.flatnonzero(np.append(True, a[1:] != a[:-1])) if len(a) else np.zeros(0, dtype=np.int64)
             found.clear()
-            return pa.RecordBatch.from_arrays([pa.array(np.minimum(x, y)), pa.array(np.maximum(x, y))], names=["a", "b"])
+            others = pa.ListArray.from_arrays(pa.array(np.append(starts, len(b)), pa.int32()), pa.array(b))
+            return pa.RecordBatch.from_arrays([pa.array(a[starts]), others], names=["a", "others"])
 
         held = 0
         for at, to in _spans(count):
@@ -149,7 +158,8 @@ def _pairs(least: float):
             j = i + 1 + np.arange(len(i)) - np.repeat(np.cumsum(each) - each, each)
             total = n[i] + n[j]
             shared = _shared(total, least)
-            able = np.minimum(left[i], left[j]) >= shared
+            # where both have the same element just before, the pair is met there
+            able = (np.minimum(left[i], left[j]) >= shared) & ((before[i] != before[j]) | (before[i] < 0))
             i, j, may = entry[i[able]], entry[j[able]], (total - 2 * shared)[able]
             kind = words[i] << 32 | words[j]
             for both_w in np.unique(kind).tolist():
@@ -172,6 +182,27 @@ def _pairs(least: float):
     return run
 
 
+def _merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows come sorted by a; each pair once."""
+    a, b = np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.int64)
+
+    def once(a: np.ndarray, b: np.ndarray) -> pa.RecordBatch:
+        order = np.lexsort((b, a))
+        a, b = a[order], b[order]
+        new = np.append(True, (a[1:] != a[:-1]) | (b[1:] != b[:-1]))[: len(a)]
+        return pa.RecordBatch.from_arrays([pa.array(a[new]), pa.array(b[new])], names=["a", "b"])
+
+    for batch in batches:
+        if not len(batch):
+            continue
+        each = batch.column(1).value_lengths().to_numpy()
+        a, b = np.append(a, np.repeat(batch.column(0).to_numpy(), each)), np.append(b, batch.column(1).flatten().to_numpy())
+        whole = int(np.searchsorted(a, a[-1]))  # the last may go on
+        yield once(a[:whole], b[:whole])
+        a, b = a[whole:], b[whole:]
+    yield once(a, b)
+
+
 def candidates(sets: DataFrame, least: float) -> DataFrame:
     """a < b, once each, of all pairs whose Jaccard is `least` or more, and a few others.
 
@@ -184,8 +215,12 @@ def candidates(sets: DataFrame, least: float) -> DataFrame:
     rank = np.zeros(int(ids.max()) + 1 if len(ids) else 1, dtype=np.int32)
     rank[ids[order]] = np.arange(len(ids))
     parts = scratch.shuffle_partitions(spark)
-    posted = sets.select("doc_id", "ids").mapInArrow(_post(rank, int((df == 1).sum()), parts, least), "part int, doc_id long, n int, posted binary, sketch binary")
-    return posted.repartitionById(parts, F.col("part")).mapInArrow(_pairs(least), "a long, b long").distinct()
+    single = int((df == 1).sum())
+    posted = sets.select("doc_id", "ids").mapInArrow(_post(rank, single, parts, least), ", ".join(["part int", *(f"{c} binary" for c in COLUMNS)]))
+    met = posted.repartitionById(parts, F.col("part")).mapInArrow(_pairs(least), "a long, others array<long>")
+    # a doc_id that two sets bear makes no pair with itself
+    return met.repartition(parts, "a").sortWithinPartitions("a").mapInArrow(_merge, "a long, b long").where("a < b")
+
 
 
 def _compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -199,14 +234,13 @@ def _compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = held if top <= len(held) else np.zeros(top, dtype=bool)
         sizes = [c.value_lengths().to_numpy().astype(np.int64) for c in (x, y)]
         ends = [np.append(0, np.cumsum(c)).tolist() for c in sizes]
-        named = batch.column("b").to_numpy()
-        fresh = np.append(True, named[1:] != named[:-1]).tolist()
         inter, last = np.zeros(len(batch), dtype=np.int64), None
         for k in range(len(batch)):
-            if fresh[k]:  # rows of one b come together
+            this = other[ends[1][k] : ends[1][k + 1]]
+            if last is None or not np.array_equal(last, this):  # rows of one b come together
                 if last is not None:
                     held[last] = False
-                last = other[ends[1][k] : ends[1][k + 1]]
+                last = this
                 held[last] = True
             inter[k] = np.count_nonzero(held[own[ends[0][k] : ends[0][k + 1]]])
         held[last] = False

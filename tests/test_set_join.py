@@ -51,6 +51,13 @@ def test_words_with_commas_stay_apart(spark):
     assert baselines.ml_minhash(docs).count() == 0
 
 
+def test_doc_ids_that_repeat(spark):
+    base = [f"w{i}" for i in range(20)]
+    rows = [(1, base), (2, base[:19]), (2, base[:16] + ["x"]), (2, base[:10]), (None, base[1:])]
+    docs = spark.createDataFrame([(i, " ".join(w)) for i, w in rows], "doc_id long, text string")
+    assert sorted(tuple(r) for r in baselines.ml_minhash(docs).collect()) == [(1, 2, 0.05), (1, 2, 0.238095)]
+
+
 @pytest.mark.parametrize("least", [0.3, 0.5, 0.7, 0.95])
 def test_no_pair_is_left_out(spark, least):
     draw = random.Random(5)
