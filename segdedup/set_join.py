@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 from segdedup import scratch
 
 #: Bits of the narrowest sketch; pairs, and bytes of sketches, that a task holds at once.
-LEAST_BITS, PAIRS, HELD = 256, 1 << 20, 1 << 25
+LEAST_BITS, PAIRS, HELD = 256, 1 << 18, 1 << 25
 #: Far above the rounding of a bound, far below one element.
 SLACK = 1e-6
 
@@ -214,12 +214,14 @@ def candidates(sets: DataFrame, least: float) -> DataFrame:
     order = np.lexsort((ids, df))
     rank = np.zeros(int(ids.max()) + 1 if len(ids) else 1, dtype=np.int32)
     rank[ids[order]] = np.arange(len(ids))
-    parts = scratch.shuffle_partitions(spark)
+    n = scratch.shuffle_partitions(spark)
+    # sketches are copied to each share, so shares are as few as memory and cores allow
+    parts = max(2 * spark.sparkContext.defaultParallelism, n // 4)
     single = int((df == 1).sum())
     posted = sets.select("doc_id", "ids").mapInArrow(_post(rank, single, parts, least), ", ".join(["part int", *(f"{c} binary" for c in COLUMNS)]))
     met = posted.repartitionById(parts, F.col("part")).mapInArrow(_pairs(least), "a long, others array<long>")
     # a doc_id that two sets bear makes no pair with itself
-    return met.repartition(parts, "a").sortWithinPartitions("a").mapInArrow(_merge, "a long, b long").where("a < b")
+    return met.repartition(n, "a").sortWithinPartitions("a").mapInArrow(_merge, "a long, b long").where("a < b")
 
 
 
